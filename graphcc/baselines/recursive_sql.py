@@ -7,14 +7,16 @@ import uuid
 from pyspark.sql import DataFrame
 
 
-def components(edges: DataFrame, max_depth: int = 60) -> DataFrame:
+def components(edges: DataFrame, max_depth: int = 12) -> DataFrame:
+    """Walks that never turn straight back, up to ``max_depth`` steps: enough for components of that diameter."""
     view = f"edges_{uuid.uuid4().hex[:10]}"
     edges.where("u <> v").createOrReplaceTempView(view)
     return edges.sparkSession.sql(f"""
         WITH RECURSIVE
-        both AS (SELECT DISTINCT u, v FROM {view} UNION SELECT DISTINCT v, u FROM {view}),
-        reach(node, other, depth) MAX RECURSION LEVEL {max_depth} AS (
-            SELECT DISTINCT u, u, 0 FROM both
+        both AS (SELECT u, v FROM {view} UNION SELECT v, u FROM {view}),
+        reach(node, other, came_from, depth) AS (
+            SELECT DISTINCT u, u, CAST(NULL AS BIGINT), 0 FROM both
             UNION ALL
-            SELECT r.node, b.v, r.depth + 1 FROM reach r JOIN both b ON b.u = r.other WHERE r.depth < {max_depth // 4} AND b.v <> r.node)
+            SELECT r.node, b.v, r.other, r.depth + 1 FROM reach r JOIN both b ON b.u = r.other
+            WHERE r.depth < {max_depth} AND (r.came_from IS NULL OR b.v <> r.came_from))
         SELECT node, min(other) AS component FROM reach GROUP BY node""")

@@ -47,7 +47,7 @@ def _min_neighbour(pairs: DataFrame, run: Run, max_rounds: int) -> DataFrame:
         both = current.select("child", "parent").union(current.select(F.col("parent").alias("child"), F.col("child").alias("parent"))).distinct()
         least = both.groupBy("child").agg(F.least(F.min("parent"), F.first("child")).alias("least"))
         linked = both.join(least, "child").select(F.explode(F.array("child", "parent")).alias("node"), "least").where("node <> least").distinct()
-        out, seen = observed(linked.select(F.col("node").alias("child"), F.col("least").alias("parent")), checksum=F.pmod(F.xxhash64("node", "least"), F.lit(1 << 40)))
+        out, seen = observed(linked.select(F.col("node").alias("child"), F.col("least").alias("parent")), checksum=F.pmod(F.xxhash64("child", "parent"), F.lit(1 << 40)))
         with run.timed("flatten", r):
             new = Kept(out, "links")
         state = (seen.get["n"], seen.get["checksum"])

@@ -184,10 +184,10 @@ register("metrics_w3", _metrics)
 
 
 def _scenarios(spark: SparkSession, d: str) -> DataFrame:
-    """After phase 1 with one edge range a task: nodes by whether they are parents, children, both, and in how many tasks at most."""
+    """After phase 1 in a single task: nodes by whether they are parents, children, both, and in how many tasks at most."""
     tagged = local_forest(edges(spark, d, "w2"), 1, "hash", tagged=True)
-    role = tagged.groupBy(F.explode(F.array(F.struct(F.col("child").alias("node"), (F.col("child") == F.col("parent")).alias("is_parent"), "task"))).alias("r")).agg(F.lit(1))
-    per = role.select("r.*").groupBy("node").agg(F.countDistinct(F.when(F.col("is_parent"), F.col("task"))).alias("as_parent"), F.countDistinct(F.when(~F.col("is_parent"), F.col("task"))).alias("as_child"))
+    parent = F.col("child") == F.col("parent")
+    per = tagged.groupBy(F.col("child").alias("node")).agg(F.countDistinct(F.when(parent, F.col("task"))).alias("as_parent"), F.countDistinct(F.when(~parent, F.col("task"))).alias("as_child"))
     return per.groupBy("as_parent", "as_child").agg(F.count(F.lit(1)).alias("nodes"))
 
 
