@@ -9,6 +9,12 @@ from graphcc.llm.tables import WORD, n_words, table
 from graphcc.session import keep, scratch_path
 
 
+def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphcc.llm.jaccard import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"), k=4, percent=85)
+
+
 def op2_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Totals after four commits: all documents in, toxic ones out, two languages recounted, one replay."""
     from graphcc.llm.rollup import TokenRollup, revised, signed
@@ -89,6 +95,12 @@ SELECT doc_id, size, source_size, target, (copies * size)::BIGINT AS taken, copi
 """
 
 
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphcc.llm.substrings import dedup_substrings
+
+    return dedup_substrings(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphcc.llm.urlfilter import judge_urls
 
@@ -106,5 +118,5 @@ f AS (SELECT n, arg_max(rhost || rpath, length(rhost || rpath)) AS rule, arg_max
 SELECT page_id, host, path, rule, coalesce(f.verdict, 'allow') AS verdict FROM h LEFT JOIN f USING (n)
 """
 
-QUERIES = {f.__name__: f for f in (op2_token_rollup, op3_packing, op5_media_columns, op6_quality_classifier, op7_mixing, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op10_url_filter)}
 ORACLES = {"op2_token_rollup": OP2_SQL, "op7_mixing": OP7_SQL, "op10_url_filter": OP10_SQL}
