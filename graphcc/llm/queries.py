@@ -101,6 +101,12 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_substrings(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op9_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphcc.llm.neighbours import nearest
+
+    return nearest(table(spark, sf_dir, "embeddings", "vec_id", "embedding"), F.col("vec_id") % 50 == 0)
+
+
 def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphcc.llm.urlfilter import judge_urls
 
@@ -118,5 +124,5 @@ f AS (SELECT n, arg_max(rhost || rpath, length(rhost || rpath)) AS rule, arg_max
 SELECT page_id, host, path, rule, coalesce(f.verdict, 'allow') AS verdict FROM h LEFT JOIN f USING (n)
 """
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op9_nearest_neighbours, op10_url_filter)}
 ORACLES = {"op2_token_rollup": OP2_SQL, "op7_mixing": OP7_SQL, "op10_url_filter": OP10_SQL}
