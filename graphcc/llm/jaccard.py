@@ -36,6 +36,8 @@ from graphcc.plans.components import connected_components
 from graphcc.session import Kept
 
 SKETCH_BITS, MOST_L, VERIFY_COST = 18, 4, 8.0
+#: Shingles of a document counted in so many bins by hash: the sum of bin-wise minima bounds the overlap of two documents.
+BINS = 256
 _SEED = np.uint64(0xD6E8FEB86659FD93)
 
 
@@ -102,8 +104,8 @@ def _prefixes(k: int, percent: int, shared):
             for part, s, at in _sets(batch, k):
                 sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(W.mix(s ^ _SEED))))
                 count = sketch[(s >> np.uint64(64 - bits)).astype(np.int64)]
-                ids, sizes, ls, common, lists, sigs = part.column("doc_id").to_pylist(), [], [], [], [], []
-                rows = []
+                ids, sizes, ls, common, lists, sigs, bins = part.column("doc_id").to_pylist(), [], [], [], [], [], []
+                rows, bin_of = [], ((s >> np.uint64(20)) & np.uint64(BINS - 1)).astype(np.int64)
                 for r, (a, b) in enumerate(zip(at[:-1].tolist(), at[1:].tolist(), strict=True)):
                     n = b - a
                     if not n or ids[r] is None:
@@ -117,12 +119,13 @@ def _prefixes(k: int, percent: int, shared):
                     ls.append(l_)
                     common.append(int(excess[: p - l_ + 1].sum()))
                     lists.append(s[a:b][order[:p]].view(np.int64))
+                    bins.append(np.minimum(np.bincount(bin_of[a:b], minlength=BINS), 255).astype(np.uint8).tobytes())
                     sigs.append(int((sums[b : b + 1] - sums[a : a + 1]).view(np.int64)[0]))
                 if rows:
                     ends = np.concatenate(([0], np.cumsum([len(x) for x in lists]))).astype(np.int32)
                     yield pa.RecordBatch.from_arrays(
-                        [pa.array(rows, pa.int64()), pa.array(sigs, pa.int64()), pa.array(sizes, pa.int32()), pa.array(ls, pa.int32()), pa.array(common, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(lists)))],
-                        ["id", "s1", "n", "l", "common", "tokens"],
+                        [pa.array(rows, pa.int64()), pa.array(sigs, pa.int64()), pa.array(sizes, pa.int32()), pa.array(ls, pa.int32()), pa.array(common, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(lists))), pa.array(bins, pa.binary())],
+                        ["id", "s1", "n", "l", "common", "tokens", "bins"],
                     )
 
     return run
@@ -140,6 +143,29 @@ def _whole_sets(k: int, shared):
     return run
 
 
+def _may_link(percent: int):
+    """Pairs whose sizes and bins allow a link."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                na, nb = (part.column(c).to_numpy().astype(np.int64) for c in ("na", "nb"))
+                x, y = (np.frombuffer(b"".join(part.column(c).to_pylist()), np.uint8).reshape(-1, BINS) for c in ("xa", "xb"))
+                bound = np.minimum(x, y).sum(axis=1, dtype=np.int64)
+                full = ((x == 255) & (y == 255)).any(axis=1)  # such a bin may hold more than it shows
+                bound = np.where(full, np.minimum(na, nb), bound)
+                ok = (np.minimum(na, nb) * 100 >= np.maximum(na, nb) * percent) & (bound * 100 >= (na + nb - bound) * percent)
+                yield part.select(["a", "b"]).filter(pa.array(ok))
+
+    return run
+
+
+def _possible(pairs: DataFrame, prefixes: DataFrame, percent: int) -> DataFrame:
+    one, two = (prefixes.select(F.col("id").alias(e), F.col("n").alias(f"n{e}"), F.col("bins").alias(f"x{e}")) for e in "ab")
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "na", "nb", "xa", "xb").mapInArrow(_may_link(percent), "a long, b long")
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs ``(a, b)`` that link, of those given; ``b`` is the one that many pairs may share."""
     one, two = sets.select(F.col("id").alias("a"), F.col("shingles").alias("sa")), sets.select(F.col("id").alias("b"), F.col("shingles").alias("sb"))
@@ -148,6 +174,13 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").where(fits).where(both * 100 >= (F.size("sa") + F.size("sb") - both) * percent).select("a", "b")
 
 
+def _sets_of(docs: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
+    """``(id, shingles)`` of the documents in ``pairs``; a bit set leaves most others out of the scan."""
+    ids = Kept(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "ids")
+    met = docs.sparkSession.sparkContext.broadcast(bloom.build(ids.df, ids.df.count()))
+    return Kept(docs.mapInArrow(_whole_sets(k, met), "id long, shingles array<long>"), "sets").df
+
+
 def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, sketch_bits: int = SKETCH_BITS, tail_rows: int = 10_000) -> DataFrame:
     """``(doc_id, n_shingles, component_id)`` for every row of ``docs(doc_id, text)``."""
     docs = docs.select("doc_id", "text")
@@ -156,16 +189,19 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, sketch_bits:
     classes = Kept(signed.df.where("n > 0").groupBy("n", "s1", "s2").agg(F.min("doc_id").alias("rep")), "classes")
 
     sketch = spark.sparkContext.broadcast(frequency_sketch(docs, k, sketch_bits))
-    prefixes = docs.mapInArrow(_prefixes(k, percent, sketch), "id long, s1 long, n int, l int, common long, tokens array<long>")
+    scanned = docs.mapInArrow(_prefixes(k, percent, sketch), "id long, s1 long, n int, l int, common long, tokens array<long>, bins binary")
     reps = classes.df.select(F.col("rep").alias("id"), "s1")
-    posted = prefixes.join(reps, ["id", "s1"], "left_semi").select("id", "n", "l", "common", F.posexplode("tokens").alias("i", "token"))
+    prefixes = Kept(scanned.join(reps, ["id", "s1"], "left_semi").drop("s1"), "prefixes")
+    if not prefixes.df.groupBy("id").count().where("count > 1").isEmpty():  # ids given to several texts
+        prefixes = Kept(prefixes.df.dropDuplicates(["id"]), "prefixes")
+    posted = prefixes.df.select("id", "n", "l", "common", F.posexplode("tokens").alias("i", "token"))
     hubs = posted.groupBy("token").agg(F.max_by("id", "common").alias("hub"), F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
     shared = Kept(posted.join(hubs, "token").select("token", "id", "n", "l", "i", "hub"), "postings")
 
     first = Kept(shared.df.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "candidates")
-    met = spark.sparkContext.broadcast(bloom.build(shared.df.select("id")))
-    sets = Kept(docs.mapInArrow(_whole_sets(k, met), "id long, shingles array<long>").dropDuplicates(["id"]), "sets")
-    links = Kept(_verified(first.df, sets.df, percent), "links")
+    likely = Kept(_possible(first.df, prefixes.df, percent), "likely")
+    sets = _sets_of(docs, likely.df, k)
+    links = Kept(_verified(likely.df, sets, percent), "links")
     found = Kept(_components(links.df, tail_rows), "components")
 
     # Lists that lie in several components, joined across these only.
@@ -180,15 +216,16 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, sketch_bits:
     met_often = x.join(y, (x["token"] == y["token"]) & (F.col("c1") < F.col("c2")) & fits).groupBy("id1", "id2").agg(F.count(F.lit(1)).alias("met"), F.min(l_).alias("l")).where("met >= l")
     tried = first.df.select(F.least("a", "b").alias("t1"), F.greatest("a", "b").alias("t2")).distinct()
     rest = met_often.select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).join(tried, (F.col("a") == F.col("t1")) & (F.col("b") == F.col("t2")), "left_anti")
-    more = Kept(_verified(rest, sets.df, percent), "links")
-    if more.df.isEmpty():
+    rest = Kept(_possible(rest, prefixes.df, percent), "likely")
+    more = None if rest.df.isEmpty() else Kept(_verified(rest.df, _sets_of(docs, rest.df, k), percent), "links")
+    if more is None or more.df.isEmpty():
         final = found.df
     else:
         final = Kept(_components(links.df.unionByName(more.df), tail_rows), "components").df
 
     per_class = classes.df.join(final, F.col("rep") == F.col("node"), "left").select(F.col("n").alias("cn"), F.col("s1").alias("c1"), F.col("s2").alias("c2"), F.coalesce("component", "rep").alias("component"))
     per_class = Kept(per_class, "labels")
-    for t in (shared, first, sets, links, placed, left, more):
+    for t in (prefixes, shared, first, likely, placed, left, rest):
         t.drop()
     same = (F.col("n") == F.col("cn")) & (F.col("s1") == F.col("c1")) & (F.col("s2") == F.col("c2"))
     return signed.df.join(per_class.df, same, "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
