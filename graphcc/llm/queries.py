@@ -54,6 +54,28 @@ def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from graphcc.llm.lines import line_report
+
+    return line_report(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+OP4_SQL = """
+WITH d AS (SELECT doc_id, coalesce(text, '') AS text, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),
+o AS (SELECT doc_id, unnest(ls) AS line, generate_subscripts(ls, 1) AS line_no FROM d),
+k AS (SELECT * FROM o WHERE length(line) >= 6 AND trim(line) <> ''),
+f AS (SELECT line, min((doc_id, line_no)) AS place, length(line) AS len, list_transform(['e', 'n', 't', 'h', 'a', 'r', 'o', 'i'], lambda c: length(line) - length(replace(line, c, ''))) AS c FROM k GROUP BY line),
+n AS (SELECT DISTINCT CASE WHEN a.place > b.place THEN a.line ELSE b.line END AS line
+  FROM (SELECT *, unnest([len, len - 1, len - 2]) AS want FROM f WHERE len >= 32) a JOIN f b ON a.want = b.len AND b.len >= 32 AND (a.len > b.len OR a.line < b.line)
+  WHERE list_sum(list_transform(list_zip(a.c, b.c), lambda x: abs(x[1] - x[2]))) <= 4 AND levenshtein(a.line, b.line) <= 2),
+r AS (SELECT k.doc_id, length(k.line) AS len, n.line IS NOT NULL AS near FROM k JOIN f USING (line) LEFT JOIN n ON n.line = k.line
+  WHERE n.line IS NOT NULL OR (k.doc_id, k.line_no) <> f.place),
+s AS (SELECT doc_id, sum((NOT near)::INT) AS exact, sum(near::INT) AS nearly, sum(len) AS chars FROM r GROUP BY doc_id)
+SELECT d.doc_id, len(d.ls)::BIGINT AS n_lines, coalesce(exact, 0)::BIGINT AS exact_repeats, coalesce(nearly, 0)::BIGINT AS near_repeats,
+  (length(d.text) - len(d.ls) + 1 - coalesce(chars, 0))::BIGINT AS kept_chars FROM d LEFT JOIN s ON d.doc_id IS NOT DISTINCT FROM s.doc_id
+"""
+
+
 def op5_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphcc.llm.media import encode_texts, media_features
 
@@ -124,5 +146,5 @@ f AS (SELECT n, arg_max(rhost || rpath, length(rhost || rpath)) AS rule, arg_max
 SELECT page_id, host, path, rule, coalesce(f.verdict, 'allow') AS verdict FROM h LEFT JOIN f USING (n)
 """
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op9_nearest_neighbours, op10_url_filter)}
-ORACLES = {"op2_token_rollup": OP2_SQL, "op7_mixing": OP7_SQL, "op10_url_filter": OP10_SQL}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op4_line_dedup, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op9_nearest_neighbours, op10_url_filter)}
+ORACLES = {"op2_token_rollup": OP2_SQL, "op4_line_dedup": OP4_SQL, "op7_mixing": OP7_SQL, "op10_url_filter": OP10_SQL}
