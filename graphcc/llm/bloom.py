@@ -14,8 +14,8 @@ from pyspark.sql import functions as F
 
 from graphcc.llm.words import mix
 
-#: 2**LEAST to 2**MOST bits (2 MB at most), so that a broadcast is always small.
-LEAST, MOST = 18, 24
+#: 2**LEAST to 2**MOST bits (4 MB at most), so that a broadcast is always small.
+LEAST, MOST = 18, 25
 _SEED = np.uint64(0x8CB92BA72F3D8DD7)
 
 

@@ -13,8 +13,9 @@ A document is its set of distinct k-word shingles; two link when
 4. Every posted shingle has a hub, the document of its list with the commonest prefix, as the origin
    of a group of copies has. All others are verified against their hubs; links give components.
 5. Shingles whose lists still lie in several components are joined with themselves across
-   components only, with size and position bounds and the match count, and verified. So no link between
-   components is lost, and a group of near copies costs its size, not its square.
+   components only, under bounds by size and by position in both prefixes; pairs that share enough prefix
+   shingles are verified. So no link between components is lost, and a group of near copies costs
+   its size, not its square.
 
 Shingles are held as 64-bit hashes. Null or blank text: empty set, linked with nothing, but
 its component is its own id. Rows that repeat a doc_id are one node. A null doc_id gets the component
@@ -194,9 +195,9 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, sketch_bits:
     prefixes = Kept(scanned.join(reps, ["id", "s1"], "left_semi").drop("s1"), "prefixes")
     if not prefixes.df.groupBy("id").count().where("count > 1").isEmpty():  # ids given to several texts
         prefixes = Kept(prefixes.df.dropDuplicates(["id"]), "prefixes")
-    posted = prefixes.df.select("id", "n", "l", "common", F.posexplode("tokens").alias("i", "token"))
+    posted = prefixes.df.select("id", "n", "common", F.posexplode("tokens").alias("i", "token"))
     hubs = posted.groupBy("token").agg(F.max_by("id", "common").alias("hub"), F.count(F.lit(1)).alias("c")).where("c > 1").drop("c")
-    shared = Kept(posted.join(hubs, "token").select("token", "id", "n", "l", "i", "hub"), "postings")
+    shared = Kept(posted.join(hubs, "token").select("token", "id", "n", "i", "hub"), "postings")
 
     first = Kept(shared.df.where("id <> hub").select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "candidates")
     likely = Kept(_possible(first.df, prefixes.df, percent), "likely")
@@ -205,17 +206,22 @@ def near_duplicates(docs: DataFrame, k: int = 5, percent: int = 80, sketch_bits:
     found = Kept(_components(links.df, tail_rows), "components")
 
     # Lists that lie in several components, joined across these only.
-    placed = shared.df.join(found.df.withColumnRenamed("node", "id"), "id", "left").select("token", "id", "n", "l", "i", F.coalesce("component", "id").alias("c"))
+    placed = shared.df.join(found.df.withColumnRenamed("node", "id"), "id", "left").select("token", "id", "n", "i", F.coalesce("component", "id").alias("c"))
     placed = Kept(placed, "placed")
     mixed = placed.df.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
     left = Kept(placed.df.join(mixed, "token", "left_semi"), "mixed")
-    x, y = (left.df.select("token", *[F.col(c).alias(f"{c}{e}") for c in ("id", "n", "l", "i", "c")]) for e in "12")
-    overlap = F.ceil((F.col("n1") + F.col("n2")) * percent / F.lit(100 + percent) - 1e-9)
-    l_ = F.least("l1", "l2")
-    fits = (F.least("n1", "n2") * 100 >= F.greatest("n1", "n2") * percent) & (F.least(F.col("n1") - F.col("i1"), F.col("n2") - F.col("i2")) + l_ - 1 >= overlap)
-    met_often = x.join(y, (x["token"] == y["token"]) & (F.col("c1") < F.col("c2")) & fits).groupBy("id1", "id2").agg(F.count(F.lit(1)).alias("met"), F.min(l_).alias("l")).where("met >= l")
+    x, y = (left.df.select("token", *[F.col(c).alias(f"{c}{e}") for c in ("id", "n", "i", "c")]) for e in "12")
+    # At the first shingle two documents share, both must have enough left for the least overlap of their sizes.
+    overlap = F.floor((F.col("n1") + F.col("n2")) * percent / F.lit(100 + percent) + F.lit(1 - 1e-6))  # a ceiling, never too high by rounding
+    sizes = F.least("n1", "n2") * 100 >= F.greatest("n1", "n2") * percent
+    fits = sizes & (F.least(F.col("n1") - F.col("i1"), F.col("n2") - F.col("i2")) >= overlap)
+    pairs = x.join(y, (x["token"] == y["token"]) & (F.col("c1") < F.col("c2")) & fits).select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).distinct()
     tried = first.df.select(F.least("a", "b").alias("t1"), F.greatest("a", "b").alias("t2")).distinct()
-    rest = met_often.select(F.least("id1", "id2").alias("a"), F.greatest("id1", "id2").alias("b")).join(tried, (F.col("a") == F.col("t1")) & (F.col("b") == F.col("t2")), "left_anti")
+    untried = pairs.join(tried, (F.col("a") == F.col("t1")) & (F.col("b") == F.col("t2")), "left_anti")
+    # Enough shared prefix shingles for the prefixes' lengths, before sizes, bins and at last the sets decide.
+    one, two = (prefixes.df.select(F.col("id").alias(e), F.col("l").alias(f"l{e}"), F.col("tokens").alias(f"t{e}")) for e in "ab")
+    often = F.size(F.array_intersect("ta", "tb")) >= F.least("la", "lb")
+    rest = untried.join(one, "a").join(two, "b").where(often).select("a", "b")
     rest = Kept(_possible(rest, prefixes.df, percent), "likely")
     more = None if rest.df.isEmpty() else Kept(_verified(rest.df, _sets_of(docs, rest.df, k), percent), "links")
     if more is None or more.df.isEmpty():

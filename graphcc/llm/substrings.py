@@ -134,7 +134,42 @@ def _scan(what: str, span: int, shared=None):
 _PATHS = "h long, sw long, size int, multi int, key long, a long"
 
 
-def repeated_spans(texts: DataFrame, span: int = SPAN) -> DataFrame:
+_WINDOWS = "h long, sw long, j int, w long"
+
+
+def _windows(texts: DataFrame, branches: DataFrame, span: int, by_join: bool) -> DataFrame:
+    """Single windows of the representatives: found by a bit set while one can hold them all, else by a join on documents."""
+    if not by_join:
+        ones = texts.sparkSession.sparkContext.broadcast(bloom.build(branches.mapInArrow(_place_of, "place long"), branches.count()))
+        return texts.mapInArrow(_scan("windows", span, ones), _WINDOWS)
+    at = Kept(branches.groupBy("key").agg(F.collect_set("a").alias("at")), "places").df
+    keyed = texts.mapInArrow(_keyed, "text string, key long").dropDuplicates(["key"])
+    return keyed.join(at, "key").select("text", "at").mapInArrow(_windows_at(span), _WINDOWS)
+
+
+def _keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for part in W.slices(batch):
+            yield pa.RecordBatch.from_arrays([part.column("text"), pa.array(row_keys(W.words(part.column("text"))))], ["text", "key"])
+
+
+def _windows_at(span: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in W.slices(batch):
+                w = W.words(part.column("text"))
+                p = Paths(w, span)
+                wanted = [np.array(x, np.int64) for x in part.column("at").to_pylist()]
+                rows = np.repeat(np.arange(len(wanted)), [len(x) for x in wanted])
+                at = w.at[:-1][rows] + np.concatenate(wanted)
+                i = np.flatnonzero(np.isin(p.first, at))
+                of, j, hashes = p.windows(i)
+                yield pa.RecordBatch.from_arrays([_i64(p.h[i][of]), _i64(p.sw[i][of]), pa.array(j.astype(np.int32)), _i64(hashes)], ["h", "sw", "j", "w"])
+
+    return run
+
+
+def repeated_spans(texts: DataFrame, span: int = SPAN, most_bits: int = 1 << bloom.MOST) -> DataFrame:
     """``(key, spans array<struct<a, size, js>>)`` of each distinct word sequence with a repeated window.
 
     ``js`` null: all ``size`` windows from word ``a`` on are repeated; else those at ``a + j``.
@@ -143,21 +178,19 @@ def repeated_spans(texts: DataFrame, span: int = SPAN) -> DataFrame:
     sc = texts.sparkSession.sparkContext
     minimizers = texts.mapInArrow(_scan("minimizers", span), "h long, multi int")
     kept = Kept(minimizers.groupBy("h").agg(F.count(F.lit(1)).alias("c"), F.max("multi").alias("m")).where("c > 1 OR m > 0").select("h"), "kmers")
-    some = sc.broadcast(bloom.build(kept.df, kept.df.count(), 26))
+    some = sc.broadcast(bloom.build(kept.df, kept.df.count()))
     paths = texts.mapInArrow(_scan("paths", span, some), _PATHS)
     compact = paths.groupBy("h", "sw").agg(F.count(F.lit(1)).alias("n"), F.max("multi").alias("multi"), F.min("key").alias("key"), F.min_by("a", "key").alias("a"))
     compact = Kept(compact, "paths")
     branching = compact.df.groupBy("h").agg(F.count(F.lit(1)).alias("k"), F.max("multi").alias("m")).where("k > 1 OR m > 0").select("h")
     branches = Kept(compact.df.join(branching, "h", "left_semi"), "branches")
-    places = branches.df.mapInArrow(_place_of, "place long")
-    ones = sc.broadcast(bloom.build(places, branches.df.count(), 26))
-    single = texts.mapInArrow(_scan("windows", span, ones), "h long, sw long, j int, w long").dropDuplicates(["sw", "j", "h", "w"])
+    single = _windows(texts, branches.df, span, branches.df.count() * 16 > most_bits).dropDuplicates(["sw", "j", "h", "w"])
     single = Kept(single.join(branches.df.select("h", "sw", "n"), ["h", "sw"]), "windows")
     twice = single.df.groupBy("h", "w").agg(F.sum("n").alias("t")).where("t > 1").select("h", "w")
     partly = single.df.where("n = 1").join(Kept(twice, "repeated").df, ["h", "w"], "left_semi").groupBy("h", "sw").agg(F.collect_set("j").alias("js"))
     whole = compact.df.where("n > 1").select("h", "sw", F.lit(None).cast("array<int>").alias("js"))
     repeats = Kept(whole.unionByName(partly), "repeats")
-    seen = sc.broadcast(bloom.build(repeats.df.select("sw"), repeats.df.count(), 26))
+    seen = sc.broadcast(bloom.build(repeats.df.select("sw"), repeats.df.count()))
     found = texts.mapInArrow(_scan("places", span, seen), _PATHS).dropDuplicates(["key", "a", "h", "sw", "size"]).select("h", "sw", "size", "key", "a")
     spans = found.join(repeats.df, ["h", "sw"]).groupBy("key").agg(F.collect_list(F.struct("a", "size", "js")).alias("spans"))
     out = Kept(spans, "spans")
@@ -230,11 +263,11 @@ def _cut(span: int, texts: bool):
     return run
 
 
-def dedup_substrings(docs: DataFrame, span: int = SPAN, texts: bool = False) -> DataFrame:
+def dedup_substrings(docs: DataFrame, span: int = SPAN, texts: bool = False, most_bits: int = 1 << bloom.MOST) -> DataFrame:
     """``(doc_id, n_words, n_removed, kept_sha256)`` of every row, with ``kept_text`` on request."""
     docs = docs.select("doc_id", "text")
-    spans = repeated_spans(docs, span)
-    may = docs.sparkSession.sparkContext.broadcast(bloom.build(spans.select("key"), spans.count(), 26))
+    spans = repeated_spans(docs, span, most_bits)
+    may = docs.sparkSession.sparkContext.broadcast(bloom.build(spans.select("key"), spans.count()))
     schema = SCHEMA + ", kept_text string" * texts
     clean = docs.mapInArrow(_untouched(may, False, texts), schema)
     rest = docs.mapInArrow(_untouched(may, True, texts), "doc_id long, text string, key long").join(spans, "key", "left")
