@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphcc.llm.tables import n_words
+from graphcc.session import keep
 
 #: Fixed values of the contract: weights of the sources in order, repeating.
 WEIGHTS, CAP = (5, 2, 1), 3.0
@@ -62,10 +63,11 @@ def sizes_of(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "source", n_words(F.col("text")).alias("size"))
 
 
-def plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, slopes: tuple[float, ...] = (-0.5, 0.0, 0.5)) -> DataFrame:
+def plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP, slopes: tuple[float, ...] = (-0.5, 0.0, 0.5), also: tuple[str, ...] = ()) -> DataFrame:
     """Each document of ``(doc_id, source, size)`` with its target, words taken, copies and first position.
 
-    ``slopes`` are cycled over the sources in order: -0.5 starts strong and fades, 0.5 grows.
+    ``slopes`` are cycled over the sources in order: -0.5 starts strong and fades, 0.5 grows. Columns
+    in ``also`` break ties and are returned.
     """
     rows = _strata(sized)
     per = rows.groupBy("source", "stratum").agg(F.sum("size").alias("stratum_size"))
@@ -73,7 +75,7 @@ def plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP,
     goal = targets(per.groupBy("source").agg(F.sum("stratum_size").alias("source_size")), weights, cap)
     slope = F.element_at(F.array(*[F.lit(float(s)) for s in slopes]), (F.pmod(F.col("source_rank") - 1, F.lit(len(slopes))) + 1).cast("int"))
     where = base.join(F.broadcast(goal), base["source"].eqNullSafe(goal["source"])).select(base["source"].alias("s"), base["stratum"].alias("k"), "base", "source_size", "target", slope.alias("slope"))
-    running = Window.partitionBy("source", "stratum").orderBy("order_key", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    running = Window.partitionBy("source", "stratum").orderBy("order_key", "size", *also).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     inside = rows.withColumn("run", F.sum("size").over(running) - F.col("size"))
     joined = inside.join(where, F.col("source").eqNullSafe(F.col("s")) & (F.col("stratum") == F.col("k"))).withColumn("before", F.col("base") + F.col("run"))
     whole = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long")
@@ -82,7 +84,7 @@ def plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP,
     copies = F.least(F.col("whole") + F.when(extra, 1).otherwise(0), F.lit(int(cap)))
     out = joined.withColumn("whole", whole).withColumn("copies", copies.cast("long")).withColumn("taken", F.col("copies") * F.col("size"))
     return out.withColumn("position", position(F.col("before"), F.col("target"), F.col("slope"))).select(
-        "doc_id", "source", "size", "source_size", "target", "taken", "copies", "before", "slope", "position"
+        "doc_id", "source", "size", "source_size", "target", "taken", "copies", "before", "slope", "position", *also
     )
 
 
@@ -97,16 +99,17 @@ def position(demand, target, slope):
 def mix(docs: DataFrame, **options) -> DataFrame:
     """Documents in training order, each as often as it is taken: all columns of ``docs`` (no others).
 
-    Words are counted in one pass over the texts; the texts themselves move once, in the range sort.
+    Words are counted in one pass over the texts. The texts move twice: to their places, then to their ranges.
     """
-    from graphcc.session import keep
-
     cols = docs.columns
     key = F.monotonically_increasing_id()
     rows = docs.withColumn("__row", key)
-    counted = keep(rows.select(F.col("__row").alias("doc_id"), "source", n_words(F.col("text")).alias("size")), "sizes")
-    planned = plan(counted, **options).where("copies > 0").select(F.col("doc_id").alias("__row"), "source_size", "target", "copies", "before", "slope")
+    counted = keep(rows.select("__row", "doc_id", "source", n_words(F.col("text")).alias("size")), "sizes")
+    planned = plan(counted, also=("__row",), **options).where("copies > 0").select("__row", "source_size", "target", "copies", "before", "slope")
     again = F.explode(F.sequence(F.lit(0), F.col("copies").cast("int") - 1))
     placed = planned.withColumn("__copy", again).withColumn("__position", position(F.col("before") + F.col("__copy") * F.col("source_size"), F.col("target"), F.col("slope")))
-    placed = placed.select("__row", "__position", "__copy")
-    return rows.join(placed, "__row").repartitionByRange("__position", "__row", "__copy").sortWithinPartitions("__position", "__row", "__copy").select(*cols)
+    # Ranges are cut without the texts: row numbers are range-sorted, and the texts go straight to their range.
+    placed = placed.select("__row", "__position", "__copy").repartitionByRange("__position", "__row", "__copy").withColumn("__range", F.spark_partition_id())
+    placed = keep(placed, "placed")
+    ranges = (placed.agg(F.max("__range").alias("m")).first().m or 0) + 1
+    return rows.join(placed, "__row").repartitionById(ranges, "__range").sortWithinPartitions("__position", "__row", "__copy").select(*cols)

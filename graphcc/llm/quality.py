@@ -119,7 +119,8 @@ def _scorer(weights, bits: int, passed: int):
 
 
 def score(docs: DataFrame, weights: np.ndarray, bits: int = BITS) -> DataFrame:
-    """All columns of ``docs``, and ``score``: the probability that the text is labelled 1."""
+    """All columns of ``docs``, and ``score`` (in place of one of that name): the probability that the text is labelled 1."""
+    docs = docs.drop("score")
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # 2**bits floats, whatever the corpus
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ", score double"
     return docs.mapInArrow(_scorer(shared, bits, len(docs.columns)), schema)

@@ -22,10 +22,13 @@ from pyspark.sql import functions as F
 from graphcc.session import exists, remove
 
 KEYS = ["source", "lang", "tokenizer"]
-_SUMS = [F.sum("documents").alias("documents"), F.sum("tokens").alias("tokens")]
 _SCHEMA = "source string, lang string, tokenizer string, documents long, tokens long"
 
 
+def _summed(df: DataFrame) -> DataFrame:
+    return df.groupBy(*KEYS).agg(F.sum("documents").alias("documents"), F.sum("tokens").alias("tokens")).where("documents <> 0 OR tokens <> 0")
+
+
 def signed(counted: DataFrame, sign: int) -> DataFrame:
     """Changes from ``(source, lang, tokenizer, n_tokens)``: +1 inserts the rows, -1 deletes them."""
     return counted.select(*KEYS, F.lit(sign).cast("long").alias("documents"), (F.coalesce(F.col("n_tokens"), F.lit(0)) * sign).cast("long").alias("tokens"))
@@ -65,8 +68,7 @@ class TokenRollup:
         """Apply a batch once; False if it had been committed before."""
         if batch_id in self.batches():
             return False
-        delta = changes.groupBy(*KEYS).agg(*_SUMS).where("documents <> 0 OR tokens <> 0")
-        delta.write.mode("overwrite").parquet(f"{self.path}/batches/{batch_id}")
+        _summed(changes).write.mode("overwrite").parquet(f"{self.path}/batches/{batch_id}")
         return True
 
     def _parts(self) -> tuple[list[str], set[str]]:
@@ -78,7 +80,7 @@ class TokenRollup:
         """``(source, lang, tokenizer, documents, tokens)`` over the committed batches."""
         parts, _ = self._parts()
         kept = self.spark.read.schema(_SCHEMA).parquet(*parts) if parts else self.spark.createDataFrame([], _SCHEMA)
-        return kept.groupBy(*KEYS).agg(*_SUMS).where("documents <> 0 OR tokens <> 0")
+        return _summed(kept)
 
     def compact(self) -> None:
         """Fold all committed batches into a new snapshot, then drop what it replaces."""
