@@ -47,27 +47,29 @@ def probes(tau: int = TAU) -> list[tuple[int, int, int]]:
     return sorted(found, key=lambda x: (x[0] != 0 or x[2] != 0, x))
 
 
-def _segment(length: Column, i: int, tau: int) -> tuple[Column, Column]:
-    """Start (from 0) and size of segment ``i`` of a line: even sizes, the last ones longer by one."""
-    size, longer = F.floor(length / (tau + 1)).cast("int"), F.pmod(length, F.lit(tau + 1))
-    plain = F.lit(tau + 1) - longer  # segments of the smaller size
-    return (size * i + F.greatest(F.lit(0), F.lit(i) - plain)).cast("int"), (size + (F.lit(i) >= plain).cast("int")).cast("int")
+def with_segments(df: DataFrame, tau: int = TAU) -> DataFrame:
+    """For each length probed: the size of its segments (``q``) and how many, the last ones, are longer by one (``r``)."""
+    cols = {}
+    for delta in range(tau + 1):
+        rest = F.pmod(F.col("len") - delta, F.lit(tau + 1))
+        cols[f"r{delta}"], cols[f"q{delta}"] = rest, ((F.col("len") - delta - rest) / (tau + 1)).cast("int")
+    return df.withColumns(cols)
 
 
-def segment_keys(line: Column, length: Column, tau: int = TAU) -> Column:
+def segment_keys(tau: int = TAU) -> Column:
+    """One hash for each probe of ``line``, null where the substring would leave it; needs ``with_segments``."""
     keys = []
     for delta, i, shift in probes(tau):
-        start, size = _segment(length - delta, i, tau)
-        at = start + shift
-        inside = (at >= 0) & (at + size <= length) & (length - delta >= tau + 1)
-        keys.append(F.when(inside, F.xxhash64(length - delta, F.lit(i), F.substring(line, at + 1, size))))
+        q, longer = F.col(f"q{delta}"), F.lit(i) - (F.lit(tau + 1) - F.col(f"r{delta}"))  # this segment's number among the longer ones
+        start, size = q * i + F.greatest(F.lit(0), longer) + shift, q + (longer >= 0).cast("int")
+        inside = (start >= 0) & (start + size <= F.col("len")) & (q > 0)
+        keys.append(F.when(inside, F.xxhash64(F.col("len") - delta, F.lit(i), F.substring("line", start + 1, size))))
     return F.array(*keys)
 
 
 def letter_counts(line: Column) -> Column:
     """How often each of eight letters occurs, a byte each, stopping at 127."""
-    n = F.length(line)
-    each = [F.least(n - F.length(F.replace(line, F.lit(c), F.lit(""))), F.lit(127)).cast("long") for c in LETTERS]
+    each = [F.least(F.octet_length(line) - F.octet_length(F.replace(line, F.lit(c), F.lit(""))), F.lit(127)).cast("long") for c in LETTERS]
     return reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(c, 8 * j) for j, c in enumerate(each)])
 
 
@@ -85,29 +87,33 @@ def banded_distance(a: Column, b: Column, tau: int = TAU) -> Column:
     """
     top = 2 * tau + _PAD
     full = (1 << (top + 1)) - 1
-    p, t = F.split(a, ""), F.split(b, "")
-    m, n = F.length(a), F.length(b)
 
     def bit(flag: Column, at: int) -> Column:
         return F.when(flag, F.lit(1 << at)).otherwise(F.lit(0))
 
-    def step(s: Column, i: Column) -> Column:
-        ch = F.element_at(t, i + 1)
-        match = reduce(lambda x, y: x + y, [bit(F.try_element_at(p, F.greatest(i + d + 1, F.lit(1))).eqNullSafe(ch) & (i + d >= 0) & (i + d < m), top - tau + d) for d in range(-tau, tau + 1)])
-        vp, vn = s["vp"], s["vn"]
-        inv = lambda x: x.bitwiseXOR(F.lit(full))
-        d0 = (match.bitwiseAND(vp) + vp).bitwiseXOR(vp).bitwiseOR(match).bitwiseOR(vn).bitwiseAND(F.lit(full))
-        hp, hn = vn.bitwiseOR(inv(d0.bitwiseOR(vp))), d0.bitwiseAND(vp)
-        x = F.shiftright(d0, 1)
-        last = F.greatest(F.least(m - 1 - i + (top - tau), F.lit(top)), F.lit(0))  # bit of the pattern's last cell
-        on_diagonal = i + tau < m
-        here = lambda v: F.call_function("shiftright", v, last).bitwiseAND(F.lit(1))
-        score = s["score"] + F.when(on_diagonal, F.lit(1) - F.shiftright(d0, top).bitwiseAND(F.lit(1))).otherwise(here(hp) - here(hn))
-        return F.struct(hn.bitwiseOR(inv(x.bitwiseOR(hp))).alias("vp"), x.bitwiseAND(hp).alias("vn"), score.cast("int").alias("score"))
-
-    start = F.struct(F.lit(full & ~((1 << (top - tau)) - 1)).alias("vp"), F.lit(0).alias("vn"), F.least(m, F.lit(tau)).alias("score"))
-    walked = F.aggregate(F.sequence(F.lit(0), n - 1), start, step, lambda s: s["score"])
-    return F.when(m - n > tau, F.lit(tau + 1)).when(n == 0, m).otherwise(walked)
+    def walk(z: Column) -> Column:
+        p, t, m, n = z["p"], z["t"], z["m"], z["n"]
+
+        def step(s: Column, i: Column) -> Column:
+            ch = F.element_at(t, i + 1)
+            match = reduce(lambda x, y: x + y, [bit(F.try_element_at(p, F.greatest(i + d + 1, F.lit(1))).eqNullSafe(ch) & (i + d >= 0) & (i + d < m), top - tau + d) for d in range(-tau, tau + 1)])
+            vp, vn = s["vp"], s["vn"]
+            inv = lambda x: x.bitwiseXOR(F.lit(full))
+            d0 = (match.bitwiseAND(vp) + vp).bitwiseXOR(vp).bitwiseOR(match).bitwiseOR(vn).bitwiseAND(F.lit(full))
+            hp, hn = vn.bitwiseOR(inv(d0.bitwiseOR(vp))), d0.bitwiseAND(vp)
+            x = F.shiftright(d0, 1)
+            last = F.greatest(F.least(m - 1 - i + (top - tau), F.lit(top)), F.lit(0))  # bit of the pattern's last cell
+            here = lambda v: F.call_function("shiftright", v, last).bitwiseAND(F.lit(1))
+            score = s["score"] + F.when(i + tau < m, F.lit(1) - F.shiftright(d0, top).bitwiseAND(F.lit(1))).otherwise(here(hp) - here(hn))
+            return F.struct(hn.bitwiseOR(inv(x.bitwiseOR(hp))).alias("vp"), x.bitwiseAND(hp).alias("vn"), score.cast("int").alias("score"))
+
+        start = F.struct(F.lit(full & ~((1 << (top - tau)) - 1)).alias("vp"), F.lit(0).alias("vn"), F.least(m, F.lit(tau)).alias("score"))
+        walked = F.aggregate(F.sequence(F.lit(0), n - 1), start, step, lambda s: s["score"])
+        return F.when(m - n > tau, F.lit(tau + 1)).when(n == 0, m).otherwise(walked)
+
+    # A lambda's variable is evaluated once; a plain expression would split both strings at every step.
+    chars = F.struct(F.split(a, "").alias("p"), F.split(b, "").alias("t"), F.length(a).alias("m"), F.length(b).alias("n"))
+    return F.element_at(F.transform(F.array(chars), walk), 1)
 
 
 def _occurrences(docs: DataFrame) -> DataFrame:
@@ -127,17 +133,13 @@ def _hashes() -> list[Column]:
 def distinct_lines(docs: DataFrame) -> Kept:
     """One row a distinct line: first place, occurrences, hashes, and what the join needs of its text."""
     per = _occurrences(docs).groupBy("line").agg(F.min(_place()).alias("place"), F.count(F.lit(1)).alias("n"))
-    near = F.length("line") >= NEAR_CHARS
-    length = F.length("line")
-    return Kept(
-        per.select(F.monotonically_increasing_id().alias("lid"), *_hashes(), "place", "n", length.alias("len"), F.when(near, letter_counts(F.col("line"))).alias("letters"), F.when(near, segment_keys(F.col("line"), length)).alias("keys")),
-        "lines",
-    )
+    measured = with_segments(per.withColumn("len", F.length("line")))
+    return Kept(measured.select(F.monotonically_increasing_id().alias("lid"), *_hashes(), "place", "n", "len", letter_counts(F.col("line")).alias("letters"), segment_keys().alias("keys")), "lines")
 
 
 def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
     """``(a, b)``: ids of distinct lines within ``tau`` edits, ``a`` the longer."""
-    spread = lines.where("keys IS NOT NULL").select("lid", "len", "letters", F.posexplode("keys").alias("p", "key")).where("key IS NOT NULL")
+    spread = lines.where(F.col("len") >= NEAR_CHARS).select("lid", "len", "letters", F.posexplode("keys").alias("p", "key")).where("key IS NOT NULL")
     index = spread.where(F.col("p") <= tau).select("key", F.col("lid").alias("b"), F.col("len").alias("lb"), F.col("letters").alias("cb"))
     probe = spread.select("key", F.col("lid").alias("a"), F.col("len").alias("la"), F.col("letters").alias("ca"))
     ordered = (F.col("la") > F.col("lb")) & (F.col("la") <= F.col("lb") + tau) | (F.col("la") == F.col("lb")) & (F.col("a") < F.col("b"))
