@@ -17,7 +17,7 @@ def preference(parent: Column, election: str) -> Column:
     if election == "min":
         return parent
     if election == "max":
-        return -parent - 1  # order-reversing without overflow at either end of the range
+        return F.bitwise_not(parent)  # reverses the order, without overflow at either end of the range
     if election == "hash":
         return F.struct(F.xxhash64(parent), parent)
     raise ValueError(f"unknown election {election!r}")
