@@ -28,7 +28,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphcc.session import Kept
+from graphcc.session import Kept, release_shuffles
 
 TAU, NEAR_CHARS, EXACT_CHARS = 2, 32, 6
 LETTERS = "entharoi"
@@ -69,8 +69,9 @@ def segment_keys(tau: int = TAU) -> Column:
 
 def letter_counts(line: Column) -> Column:
     """How often each of eight letters occurs, a byte each, stopping at 127."""
-    each = [F.least(F.octet_length(line) - F.octet_length(F.replace(line, F.lit(c), F.lit(""))), F.lit(127)).cast("long") for c in LETTERS]
-    return reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(c, 8 * j) for j, c in enumerate(each)])
+    letters = F.array(*[F.struct(F.lit(c).alias("c"), F.lit(1 << (8 * j)).cast("long").alias("unit")) for j, c in enumerate(LETTERS)])
+    count = lambda x: F.least(F.octet_length(line) - F.octet_length(F.replace(line, x["c"], F.lit(""))), F.lit(127)).cast("long")
+    return F.aggregate(letters, F.lit(0).cast("long"), lambda s, x: s + count(x) * x["unit"])
 
 
 def letter_distance(a: Column, b: Column) -> Column:
@@ -78,29 +79,53 @@ def letter_distance(a: Column, b: Column) -> Column:
     return reduce(lambda x, y: x + y, [F.abs(byte(a, j) - byte(b, j)) for j in range(len(LETTERS))])
 
 
+def _shared_start(a: Column, b: Column) -> Column:
+    """Length of the longest common prefix, by halving steps."""
+    most = F.least(F.length(a), F.length(b))
+    steps = F.array(*[F.lit(1 << j) for j in range(24, -1, -1)])
+    fits = lambda n, w: (n + w <= most) & (F.substring(a, n + 1, w) == F.substring(b, n + 1, w))
+    return F.aggregate(steps, F.lit(0), lambda n, w: F.when(fits(n, w), n + w).otherwise(n))
+
+
+def _once(value: Column, use) -> Column:
+    """``use(value)`` with value computed once: a lambda's variable is, a repeated expression is not."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def within(a: Column, b: Column, tau: int = TAU) -> Column:
+    """Whether two strings, ``a`` at least as long as ``b``, are within ``tau`` edits: what they share at both ends is cut off first."""
+    pair = lambda x, y: F.struct(x.alias("a"), y.alias("b"))
+    tails = lambda z, n: pair(F.reverse(F.substring(z["a"], n + 1, F.length(z["a"]))), F.reverse(F.substring(z["b"], n + 1, F.length(z["b"]))))
+    cut = lambda z: _once(_shared_start(z["a"], z["b"]), lambda n: tails(z, n))
+    return _once(pair(a, b), lambda z: _once(cut(z), lambda y: _once(cut(y), lambda x: banded_distance(x["a"], x["b"], tau) <= tau)))
+
+
 def banded_distance(a: Column, b: Column, tau: int = TAU) -> Column:
     """Edit distance of two strings, ``a`` at least as long as ``b``; any value above ``tau`` only says so.
 
     Bit ``top`` of the state belongs to cell (i + tau) of pattern ``a`` when text character i of ``b`` is read,
     so the band slides down the diagonal by one bit a step. Past the pattern's end the score is read
-    along its last row, whose bit then moves down.
+    along its last row, whose bit then moves down. Once the score cannot come back, steps do nothing.
     """
     top = 2 * tau + _PAD
     full = (1 << (top + 1)) - 1
 
-    def bit(flag: Column, at: int) -> Column:
-        return F.when(flag, F.lit(1 << at)).otherwise(F.lit(0))
-
     def walk(z: Column) -> Column:
-        p, t, m, n = z["p"], z["t"], z["m"], z["n"]
+        p, t, m, n = z["p"], z["t"], z["m"], z["n"]  # p has tau empty cells at either end
 
         def step(s: Column, i: Column) -> Column:
-            ch = F.element_at(t, i + 1)
-            match = reduce(lambda x, y: x + y, [bit(F.try_element_at(p, F.greatest(i + d + 1, F.lit(1))).eqNullSafe(ch) & (i + d >= 0) & (i + d < m), top - tau + d) for d in range(-tau, tau + 1)])
+            match = reduce(lambda x, y: x + y, [F.when(F.element_at(p, i + 1 + j) == F.element_at(t, i + 1), F.lit(1 << (top - 2 * tau + j))).otherwise(F.lit(0)) for j in range(2 * tau + 1)])
+            return F.when(s["score"] > 2 * tau, s).otherwise(_once(match, lambda x: _once(column(s, x), lambda c: moved(s, c, i))))
+
+        inv = lambda x: x.bitwiseXOR(F.lit(full))
+
+        def column(s: Column, match: Column) -> Column:
             vp, vn = s["vp"], s["vn"]
-            inv = lambda x: x.bitwiseXOR(F.lit(full))
             d0 = (match.bitwiseAND(vp) + vp).bitwiseXOR(vp).bitwiseOR(match).bitwiseOR(vn).bitwiseAND(F.lit(full))
-            hp, hn = vn.bitwiseOR(inv(d0.bitwiseOR(vp))), d0.bitwiseAND(vp)
+            return _once(d0, lambda d: F.struct(d.alias("d0"), vn.bitwiseOR(inv(d.bitwiseOR(vp))).alias("hp"), d.bitwiseAND(vp).alias("hn")))
+
+        def moved(s: Column, c: Column, i: Column) -> Column:
+            d0, hp, hn = c["d0"], c["hp"], c["hn"]
             x = F.shiftright(d0, 1)
             last = F.greatest(F.least(m - 1 - i + (top - tau), F.lit(top)), F.lit(0))  # bit of the pattern's last cell
             here = lambda v: F.call_function("shiftright", v, last).bitwiseAND(F.lit(1))
@@ -111,9 +136,8 @@ def banded_distance(a: Column, b: Column, tau: int = TAU) -> Column:
         walked = F.aggregate(F.sequence(F.lit(0), n - 1), start, step, lambda s: s["score"])
         return F.when(m - n > tau, F.lit(tau + 1)).when(n == 0, m).otherwise(walked)
 
-    # A lambda's variable is evaluated once; a plain expression would split both strings at every step.
-    chars = F.struct(F.split(a, "").alias("p"), F.split(b, "").alias("t"), F.length(a).alias("m"), F.length(b).alias("n"))
-    return F.element_at(F.transform(F.array(chars), walk), 1)
+    edge = F.array_repeat(F.lit(""), tau)
+    return _once(F.struct(F.concat(edge, F.split(a, ""), edge).alias("p"), F.split(b, "").alias("t"), F.length(a).alias("m"), F.length(b).alias("n")), walk)
 
 
 def _occurrences(docs: DataFrame) -> DataFrame:
@@ -139,12 +163,15 @@ def distinct_lines(docs: DataFrame) -> Kept:
 
 def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
     """``(a, b)``: ids of distinct lines within ``tau`` edits, ``a`` the longer."""
-    spread = lines.where(F.col("len") >= NEAR_CHARS).select("lid", "len", "letters", F.posexplode("keys").alias("p", "key")).where("key IS NOT NULL")
-    index = spread.where(F.col("p") <= tau).select("key", F.col("lid").alias("b"), F.col("len").alias("lb"), F.col("letters").alias("cb"))
-    probe = spread.select("key", F.col("lid").alias("a"), F.col("len").alias("la"), F.col("letters").alias("ca"))
-    ordered = (F.col("la") > F.col("lb")) & (F.col("la") <= F.col("lb") + tau) | (F.col("la") == F.col("lb")) & (F.col("a") < F.col("b"))
+    spread = lines.where(F.col("len") >= NEAR_CHARS).select("lid", "letters", F.posexplode("keys").alias("p", "key")).where("key IS NOT NULL")
+    index = spread.where(F.col("p") <= tau).select("key", F.col("lid").alias("b"), F.col("letters").alias("cb"))
+    # The key holds the shorter length, so only probes of a line's own length could meet a pair twice.
+    same = F.col("p").isin([p for p, (delta, _, _) in enumerate(probes(tau)) if delta == 0])
+    probe = spread.select("key", F.when(same, -F.col("lid") - 1).otherwise(F.col("lid")).alias("a"), F.col("letters").alias("ca"))
+    ordered = (F.col("a") >= 0) | (-F.col("a") - 1 < F.col("b"))
     alike = letter_distance(F.col("ca"), F.col("cb")) <= 2 * tau
-    found = Kept(probe.join(index, (probe["key"] == index["key"]) & ordered & alike).select("a", "b").distinct(), "pairs")
+    met = probe.join(index, (probe["key"] == index["key"]) & ordered & alike)
+    found = Kept(met.select(F.when(F.col("a") < 0, -F.col("a") - 1).otherwise(F.col("a")).alias("a"), "b").distinct(), "pairs")
 
     # The texts of lines in pairs come from one more scan; few lines are looked up by broadcast, many by a shuffle.
     wanted = found.df.select(F.explode(F.array("a", "b")).alias("lid")).distinct()
@@ -154,12 +181,13 @@ def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
     texts = occ.join(F.broadcast(wanted.df) if few else wanted.df, ["h1", "h2"]).groupBy("lid", "line").agg(F.count(F.lit(1)).alias("c")).select("lid", "line")
     texts = Kept(texts, "texts").df
     one, two = texts.select(F.col("lid").alias("a"), F.col("line").alias("ta")), texts.select(F.col("lid").alias("b"), F.col("line").alias("tb"))
-    return found.df.join(one, "a").join(two, "b").where(banded_distance(F.col("ta"), F.col("tb"), tau) <= tau).select("a", "b")
+    return found.df.join(one, "a").join(two, "b").where(within(F.col("ta"), F.col("tb"), tau)).select("a", "b")
 
 
 def judged_lines(docs: DataFrame, tau: int = TAU) -> DataFrame:
     """``(h1, h2, place, near)`` of lines that occur again or lie near an earlier line."""
     lines = distinct_lines(docs)
+    release_shuffles(docs.sparkSession)  # the texts that were brought together are not needed again
     pairs = near_pairs(docs, lines.df, tau)
     places = lines.df.select("lid", "place")
     both = pairs.join(places.withColumnRenamed("place", "pa").withColumnRenamed("lid", "a"), "a").join(places.withColumnRenamed("place", "pb").withColumnRenamed("lid", "b"), "b")
