@@ -9,6 +9,7 @@ gets a temporary folder of its own.
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -68,6 +69,12 @@ class Kept:
         remove(self.spark, self.path)
 
 
+def release_shuffles(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete shuffle files of finished steps now, not at its next half-hourly collection."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def keep(df: DataFrame, name: str = "table") -> DataFrame:
     """``df`` as a table in the shared folder: computed once, lineage cut, sizes known to the planner."""
     return Kept(df, name).df
