@@ -13,8 +13,7 @@ earlier one and both have at least ``NEAR_CHARS`` characters. Earlier means a sm
 3. Remaining pairs are verified by a banded bit-parallel edit distance: 2 * TAU + 1 cells of
    each column in the bits of one integer.
 
-Lines are told apart by 128 bits of hash once their distinct texts are known. Hot lines are counted
-on the map side first, and the join back to their occurrences can be split by the planner.
+Lines are told apart by 128 bits of hash. Hot lines are counted on the map side first, and the join back to their occurrences can be split by the planner.
 
 Null text counts as empty. Blank lines and lines under ``EXACT_CHARS`` characters always stay. Rows
 with the same doc_id are one document; a null doc_id sorts first. An empty table gives no rows.
@@ -56,7 +55,7 @@ def with_segments(df: DataFrame, tau: int = TAU) -> DataFrame:
     return df.withColumns(cols)
 
 
-def segment_keys(tau: int = TAU) -> Column:
+def segment_keys(tau: int = TAU) -> list[Column]:
     """One hash for each probe of ``line``, null where the substring would leave it; needs ``with_segments``."""
     keys = []
     for delta, i, shift in probes(tau):
@@ -64,7 +63,7 @@ def segment_keys(tau: int = TAU) -> Column:
         start, size = q * i + F.greatest(F.lit(0), longer) + shift, q + (longer >= 0).cast("int")
         inside = (start >= 0) & (start + size <= F.col("len")) & (q > 0)
         keys.append(F.when(inside, F.xxhash64(F.col("len") - delta, F.lit(i), F.substring("line", start + 1, size))))
-    return F.array(*keys)
+    return keys
 
 
 def letter_counts(line: Column) -> Column:
@@ -154,11 +153,17 @@ def _hashes() -> list[Column]:
     return [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(77), "line").alias("h2")]
 
 
-def distinct_lines(docs: DataFrame) -> Kept:
-    """One row a distinct line: first place, occurrences, hashes, and what the join needs of its text."""
-    per = _occurrences(docs).groupBy("line").agg(F.min(_place()).alias("place"), F.count(F.lit(1)).alias("n"))
-    measured = with_segments(per.withColumn("len", F.length("line")))
-    return Kept(measured.select(F.monotonically_increasing_id().alias("lid"), *_hashes(), "place", "n", "len", letter_counts(F.col("line")).alias("letters"), segment_keys().alias("keys")), "lines")
+def distinct_lines(docs: DataFrame, tau: int = TAU) -> Kept:
+    """One row a distinct line: first place, occurrences, hashes, and what the join needs of its text.
+
+    Only hashes and keys are brought together, not the texts; lines are told apart by 128 bits.
+    """
+    keys = [c.alias(f"k{j}") for j, c in enumerate(segment_keys(tau))]
+    occ = with_segments(_occurrences(docs).withColumn("len", F.length("line")), tau)
+    occ = occ.select(*_hashes(), _place().alias("place"), "len", letter_counts(F.col("line")).alias("letters"), *keys)
+    same = [F.max(c).alias(c) for c in ("len", "letters", *[f"k{j}" for j in range(len(keys))])]  # equal for all occurrences
+    per = occ.groupBy("h1", "h2").agg(F.min("place").alias("place"), F.count(F.lit(1)).alias("n"), *same)
+    return Kept(per.select(F.monotonically_increasing_id().alias("lid"), "h1", "h2", "place", "n", "len", "letters", F.array(*[f"k{j}" for j in range(len(keys))]).alias("keys")), "lines")
 
 
 def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
@@ -186,8 +191,8 @@ def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
 
 def judged_lines(docs: DataFrame, tau: int = TAU) -> DataFrame:
     """``(h1, h2, place, near)`` of lines that occur again or lie near an earlier line."""
-    lines = distinct_lines(docs)
-    release_shuffles(docs.sparkSession)  # the texts that were brought together are not needed again
+    lines = distinct_lines(docs, tau)
+    release_shuffles(docs.sparkSession)  # what was brought together for this is not needed again
     pairs = near_pairs(docs, lines.df, tau)
     places = lines.df.select("lid", "place")
     both = pairs.join(places.withColumnRenamed("place", "pa").withColumnRenamed("lid", "a"), "a").join(places.withColumnRenamed("place", "pb").withColumnRenamed("lid", "b"), "b")
