@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from graphcc.plans.election import edge_seed, elect_round
 from graphcc.plans.flatten import canonical, flatten
-from graphcc.plans.local_forest import MAX_LOCAL_NODES, _kernel, local_forest, second_level
+from graphcc.plans.local_forest import MAX_LOCAL_NODES, _kernel, local_forest, place, second_level
 from graphcc.plans.metrics import Run, observed
 from graphcc.plans.store import RoundStore
 from graphcc.schema import check_edges, nodes_of
@@ -60,9 +60,10 @@ def spanning_forest(
     store = store or RoundStore(edges.sparkSession)
     if store.rounds:  # a restart: phase 1 and the finished rounds are on disk
         return resolve(store.live(0), election, strategy, store, max_rounds, tail_rows, hub_limit, run)
-    counted, seen_in = observed(check_edges(edges))
+    e = check_edges(edges)
+    counted, seen_in = observed(place(e, partitioning, k) if local else e)  # after placing: cutting ranges reads its input twice
     if local:
-        pairs = local_forest(counted, k, partitioning, emit, kernel, max_local_nodes)
+        pairs = local_forest(counted, emit=emit, kernel=kernel, max_local_nodes=max_local_nodes)
         pairs = second_level(pairs, max_local_nodes=max_local_nodes) if levels == 2 else pairs
     else:
         pairs = edge_seed(counted, seed, election)
