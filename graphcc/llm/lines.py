@@ -8,7 +8,7 @@ earlier one and both have at least ``NEAR_CHARS`` characters. Earlier means a sm
    at nearly the same place. Each line is indexed by (L, segment number, segment) and probes,
    for its own length and the TAU lengths below, just the few substrings that a
    left-to-right reading of at most TAU edits allows for each segment.
-2. A match must also agree, within what TAU edits can change, in how often eight letters occur; this
+2. A match must also agree, within what TAU edits can change, in how often ten letters occur; this
    is tested inside the join, so lines grown from one template do not yield all their pairs.
 3. Remaining pairs are verified by a banded bit-parallel edit distance: 2 * TAU + 1 cells of
    each column in the bits of one integer.
@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from graphcc.session import Kept, release_shuffles
 
 TAU, NEAR_CHARS, EXACT_CHARS = 2, 32, 6
-LETTERS = "entharoi"
+LETTERS = "entharoisd"
 #: Ids of lines to fetch are broadcast up to this many (24 bytes each), else joined by shuffle.
 BROADCAST_ROWS = 200_000
 _PAD = 8  # bits of a column kept above the band
@@ -67,15 +67,15 @@ def segment_keys(tau: int = TAU) -> list[Column]:
 
 
 def letter_counts(line: Column) -> Column:
-    """How often each of eight letters occurs, a byte each, stopping at 127."""
-    letters = F.array(*[F.struct(F.lit(c).alias("c"), F.lit(1 << (8 * j)).cast("long").alias("unit")) for j, c in enumerate(LETTERS)])
-    count = lambda x: F.least(F.octet_length(line) - F.octet_length(F.replace(line, x["c"], F.lit(""))), F.lit(127)).cast("long")
-    return F.aggregate(letters, F.lit(0).cast("long"), lambda s, x: s + count(x) * x["unit"])
+    """How often each of ten letters occurs, modulo 64 in six bits each."""
+    each = [(F.octet_length(line) - F.octet_length(F.replace(line, F.lit(c), F.lit("")))).bitwiseAND(F.lit(63)).cast("long") for c in LETTERS]
+    return reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(c, 6 * j) for j, c in enumerate(each)])
 
 
 def letter_distance(a: Column, b: Column) -> Column:
-    byte = lambda x, j: F.shiftright(x, 8 * j).bitwiseAND(F.lit(127))
-    return reduce(lambda x, y: x + y, [F.abs(byte(a, j) - byte(b, j)) for j in range(len(LETTERS))])
+    """Differences of the counts, around the circle of 64: never more than the counts really differ by."""
+    apart = lambda j: (F.shiftright(a, 6 * j) - F.shiftright(b, 6 * j)).bitwiseAND(F.lit(63))
+    return reduce(lambda x, y: x + y, [F.least(apart(j), F.lit(64) - apart(j)) for j in range(len(LETTERS))])
 
 
 def _shared_start(a: Column, b: Column) -> Column:
@@ -160,7 +160,8 @@ def distinct_lines(docs: DataFrame, tau: int = TAU) -> Kept:
     """
     keys = [c.alias(f"k{j}") for j, c in enumerate(segment_keys(tau))]
     occ = with_segments(_occurrences(docs).withColumn("len", F.length("line")), tau)
-    occ = occ.select(*_hashes(), _place().alias("place"), "len", letter_counts(F.col("line")).alias("letters"), *keys)
+    # The empty lambda keeps this step out of whole-stage code, whose one method would be too long to be compiled.
+    occ = occ.select(*_hashes(), _place().alias("place"), _once(F.col("len"), lambda n: n).alias("len"), letter_counts(F.col("line")).alias("letters"), *keys)
     same = [F.max(c).alias(c) for c in ("len", "letters", *[f"k{j}" for j in range(len(keys))])]  # equal for all occurrences
     per = occ.groupBy("h1", "h2").agg(F.min("place").alias("place"), F.count(F.lit(1)).alias("n"), *same)
     return Kept(per.select(F.monotonically_increasing_id().alias("lid"), "h1", "h2", "place", "n", "len", "letters", F.array(*[f"k{j}" for j in range(len(keys))]).alias("keys")), "lines")
@@ -179,7 +180,7 @@ def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
     found = Kept(met.select(F.when(F.col("a") < 0, -F.col("a") - 1).otherwise(F.col("a")).alias("a"), "b").distinct(), "pairs")
 
     # The texts of lines in pairs come from one more scan; few lines are looked up by broadcast, many by a shuffle.
-    wanted = found.df.select(F.explode(F.array("a", "b")).alias("lid")).distinct()
+    wanted = found.df.select(F.col("a").alias("lid")).union(found.df.select("b")).distinct()
     wanted = Kept(lines.join(wanted, "lid", "left_semi").select("lid", "h1", "h2"), "wanted")
     few = wanted.df.count() <= BROADCAST_ROWS
     occ = _occurrences(docs).where(F.length("line") >= NEAR_CHARS).select("line", *_hashes())
