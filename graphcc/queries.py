@@ -195,3 +195,41 @@ register(
     "proof_scenarios_w2", _scenarios,
     f"SELECT (node = component)::BIGINT AS as_parent, (node <> component)::BIGINT AS as_child, count(*)::BIGINT AS nodes FROM ({workload_sql('w2')}) GROUP BY ALL",
 )
+
+
+def _local_reduction(spark: SparkSession, d: str) -> DataFrame:
+    """What one local forest over all edges leaves of them: a pair for each node that is no root, a self-link for each root."""
+    pairs = local_forest(edges(spark, d, "w2"), 1, "hash")
+    loops = (F.col("child") == F.col("parent")).cast("long")
+    return pairs.agg(F.sum(1 - loops).alias("pairs"), F.sum(loops).alias("self_links"))
+
+
+register("local_reduction_w2", _local_reduction, f"SELECT sum((node <> component)::INT)::BIGINT AS pairs, sum((node = component)::INT)::BIGINT AS self_links FROM ({workload_sql('w2')})")
+
+
+def _skew(spark: SparkSession, d: str) -> DataFrame:
+    """The largest group a round would bring together, and the mean: user to event type links have five hubs."""
+    per = edge_seed(edges(spark, d, "w13")).groupBy("child").agg(F.count(F.lit(1)).alias("n"))
+    return per.agg(F.max("n").alias("largest_group"), F.count(F.lit(1)).alias("groups"), F.sum("n").alias("records"))
+
+
+_W13 = duck_sql(EDGES["w13"])
+register(
+    "group_skew_w13", _skew,
+    f"WITH s AS (SELECT greatest(u, v) AS child FROM ({_W13}) b UNION ALL SELECT least(u, v) FROM ({_W13}) b), g AS (SELECT child, count(*) AS n FROM s GROUP BY child) SELECT max(n)::BIGINT AS largest_group, count(*)::BIGINT AS groups, sum(n)::BIGINT AS records FROM g",
+)
+
+
+def _bound(workload: str, **options):
+    def query(spark: SparkSession, d: str) -> DataFrame:
+        """Whether the election rounds stayed within four times the logarithm of the largest component."""
+        run = Run()
+        stars = connected_components(edges(spark, d, workload), run=run, **options)
+        largest = stars.groupBy("component").count().agg(F.max("count").alias("largest"))
+        return largest.select("largest", (F.lit(run.rounds()) <= 4 * F.log2(F.col("largest") + 1.0) + 4).alias("within_bound"))
+
+    return query
+
+
+for _w in ("w3", "w6", "w7"):
+    register(f"round_bound_{_w}", _bound(_w, method="lfpe_no_local"), f"SELECT max(n)::BIGINT AS largest, true AS within_bound FROM (SELECT component, count(*) AS n FROM ({workload_sql(_w)}) GROUP BY 1)")
