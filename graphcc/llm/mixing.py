@@ -109,7 +109,9 @@ def mix(docs: DataFrame, **options) -> DataFrame:
     again = F.explode(F.sequence(F.lit(0), F.col("copies").cast("int") - 1))
     placed = planned.withColumn("__copy", again).withColumn("__position", position(F.col("before") + F.col("__copy") * F.col("source_size"), F.col("target"), F.col("slope")))
     # Ranges are cut without the texts: row numbers are range-sorted, and the texts go straight to their range.
-    placed = placed.select("__row", "__position", "__copy").repartitionByRange("__position", "__row", "__copy").withColumn("__range", F.spark_partition_id())
+    # As many ranges as the input has splits: the planner, seeing only small rows, would make far too few for the texts.
+    ranges = max(1, docs.rdd.getNumPartitions())
+    placed = placed.select("__row", "__position", "__copy").repartitionByRange(ranges, "__position", "__row", "__copy").withColumn("__range", F.spark_partition_id())
     placed = keep(placed, "placed")
     ranges = (placed.agg(F.max("__range").alias("m")).first().m or 0) + 1
     return rows.join(placed, "__row").repartitionById(ranges, "__range").sortWithinPartitions("__position", "__row", "__copy").select(*cols)

@@ -16,6 +16,7 @@ import json
 import re
 import zlib
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -45,9 +46,8 @@ class Tokenizer:
 
     def __init__(self, path: str):
         import tiktoken
-        import tokenizers
 
-        self.exact = tokenizers.Tokenizer.from_file(path)
+        self.path = path
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -56,6 +56,13 @@ class Tokenizer:
         ranks = {bytes(byte[c] for c in t): i for t, i in spec["model"]["vocab"].items() if t not in extra}
         self.fast = tiktoken.Encoding("from_file", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
 
+    @cached_property
+    def exact(self):
+        """The reference library, loaded when a text first needs it."""
+        import tokenizers
+
+        return tokenizers.Tokenizer.from_file(self.path)
+
     @classmethod
     def load(cls, path: str) -> Tokenizer:
         if path not in cls._loaded:
