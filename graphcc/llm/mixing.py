@@ -104,13 +104,13 @@ def mix(docs: DataFrame, **options) -> DataFrame:
     cols = docs.columns
     key = F.monotonically_increasing_id()
     rows = docs.withColumn("__row", key)
-    counted = keep(rows.select("__row", "doc_id", "source", n_words(F.col("text")).alias("size")), "sizes")
+    counted = keep(rows.select("__row", "doc_id", "source", n_words(F.col("text")).alias("size"), F.spark_partition_id().alias("split")), "sizes")
     planned = plan(counted, also=("__row",), **options).where("copies > 0").select("__row", "source_size", "target", "copies", "before", "slope")
     again = F.explode(F.sequence(F.lit(0), F.col("copies").cast("int") - 1))
     placed = planned.withColumn("__copy", again).withColumn("__position", position(F.col("before") + F.col("__copy") * F.col("source_size"), F.col("target"), F.col("slope")))
     # Ranges are cut without the texts: row numbers are range-sorted, and the texts go straight to their range.
     # As many ranges as the input has splits: the planner, seeing only small rows, would make far too few for the texts.
-    ranges = max(1, docs.rdd.getNumPartitions())
+    ranges = (counted.agg(F.max("split").alias("m")).first().m or 0) + 1
     placed = placed.select("__row", "__position", "__copy").repartitionByRange(ranges, "__position", "__row", "__copy").withColumn("__range", F.spark_partition_id())
     placed = keep(placed, "placed")
     ranges = (placed.agg(F.max("__range").alias("m")).first().m or 0) + 1
