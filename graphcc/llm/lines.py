@@ -2,7 +2,7 @@
 
 A line is dropped if it repeats an earlier line exactly, or lies within ``TAU`` edits of an
 earlier one and both have at least ``NEAR_CHARS`` characters. Earlier means a smaller
-(doc_id, line number). The join over distinct lines:
+(doc_id, row, line number). The join over distinct lines:
 
 1. A line of length L is cut into TAU + 1 segments. Two lines within TAU edits share a segment,
    at nearly the same place. Each line is indexed by (L, segment number, segment) and probes,
@@ -15,13 +15,15 @@ earlier one and both have at least ``NEAR_CHARS`` characters. Earlier means a sm
 
 Lines are told apart by 128 bits of hash. Hot lines are counted on the map side first, and the join back to their occurrences can be split by the planner.
 
-Null text counts as empty. Blank lines and lines under ``EXACT_CHARS`` characters always stay. Rows
-with the same doc_id are one document; a null doc_id sorts first. An empty table gives no rows.
+Null text counts as empty. Blank lines and lines under ``EXACT_CHARS`` characters always stay. A null
+doc_id sorts first. Rows that share an id, or have none, are documents of their own: they get numbers,
+written once with their texts to the shared folder. An empty table gives no rows.
 Extra columns pass through ``dedup_lines`` unchanged.
 """
 
 from __future__ import annotations
 
+from decimal import Decimal
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
@@ -33,6 +35,8 @@ TAU, NEAR_CHARS, EXACT_CHARS = 2, 32, 6
 LETTERS = "entharoisd"
 #: Ids of lines to fetch are broadcast up to this many (24 bytes each), else joined by shuffle.
 BROADCAST_ROWS = 200_000
+#: Rows without an id of their own that a place has room to number.
+MOST_NUMBERED = 2**32 - 1
 _PAD = 8  # bits of a column kept above the band
 
 
@@ -139,14 +143,38 @@ def banded_distance(a: Column, b: Column, tau: int = TAU) -> Column:
     return _once(F.struct(F.concat(edge, F.split(a, ""), edge).alias("p"), F.split(b, "").alias("t"), F.length(a).alias("m"), F.length(b).alias("n")), walk)
 
 
+def _own_rows(docs: DataFrame) -> DataFrame:
+    """``docs`` with ``__row``: 0 for rows whose id no other row has; the others, and those without an id, are numbered from 1."""
+    twice = Kept(docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id"), "twice").df
+    n_twice = twice.count()
+    if not n_twice and docs.where("doc_id IS NULL").isEmpty():
+        return docs.withColumn("__row", F.lit(0).cast("long"))
+    again = F.broadcast(twice) if n_twice <= BROADCAST_ROWS else twice
+    shared = docs.where("doc_id IS NULL").unionByName(docs.join(again, "doc_id", "left_semi").select(*docs.columns))
+    rows = Kept(shared.withColumn("__row", F.monotonically_increasing_id()), "rows").df  # a split's number above 33 bits of the row's
+    split = F.shiftright("__row", 33)
+    sizes = rows.groupBy(split.alias("__split")).agg(F.count(F.lit(1)).alias("n")).orderBy("__split").collect()
+    before, total = {}, 0
+    for r in sizes:
+        before[r["__split"]] = total
+        total += r.n
+    if total > MOST_NUMBERED:
+        raise OverflowError(f"{total} rows share an id or have none; {MOST_NUMBERED} can be numbered")
+    first = docs.sparkSession.createDataFrame(list(before.items()), "__split long, __first long")
+    numbered = rows.withColumn("__split", split).join(F.broadcast(first), "__split").withColumn("__row", F.col("__first") + F.col("__row").bitwiseAND(F.lit((1 << 33) - 1)) + 1)
+    own = docs.where("doc_id IS NOT NULL").join(again, "doc_id", "left_anti").withColumn("__row", F.lit(0).cast("long"))
+    return own.select(*docs.columns, "__row").unionByName(numbered.select(*docs.columns, "__row"))
+
+
 def _occurrences(docs: DataFrame) -> DataFrame:
     lines = F.split(F.coalesce("text", F.lit("")), "\n")
-    return docs.select("doc_id", F.posexplode(lines).alias("line_no", "line")).where((F.length("line") >= EXACT_CHARS) & (F.trim("line") != ""))
+    return docs.select("doc_id", "__row", F.posexplode(lines).alias("line_no", "line")).where((F.length("line") >= EXACT_CHARS) & (F.trim("line") != ""))
 
 
 def _place() -> Column:
-    """(doc_id, line number) as one number that sorts alike."""
-    return F.coalesce(F.col("doc_id"), F.lit(-(2**63))).cast("decimal(20,0)") * F.lit(2147483648).cast("decimal(10,0)") + F.col("line_no").cast("decimal(10,0)")
+    """(doc_id, row, line number) as one number that sorts alike: 63 bits below the id, 31 of them the line's."""
+    low = F.shiftleft(F.col("__row"), 31) + F.col("line_no")
+    return F.coalesce(F.col("doc_id").cast("decimal(20,0)"), F.lit(Decimal(-(2**63) - 1))) * F.lit(Decimal(2**63)) + low.cast("decimal(19,0)")
 
 
 def _hashes() -> list[Column]:
@@ -204,15 +232,16 @@ def judged_lines(docs: DataFrame, tau: int = TAU) -> DataFrame:
 
 def line_report(docs: DataFrame, tau: int = TAU) -> DataFrame:
     """``(doc_id, n_lines, exact_repeats, near_repeats, kept_chars)``: kept_chars without the newlines."""
+    docs = _own_rows(docs.select("doc_id", "text"))
     judged = judged_lines(docs, tau)
-    occ = _occurrences(docs).select("doc_id", _place().alias("at"), F.length("line").alias("len"), *_hashes())
+    occ = _occurrences(docs).select("doc_id", "__row", _place().alias("at"), F.length("line").alias("len"), *_hashes())
     hit = occ.join(judged, ["h1", "h2"]).where(F.col("near") | (F.col("at") != F.col("place")))
-    per = hit.groupBy("doc_id").agg(F.sum((~F.col("near")).cast("long")).alias("exact"), F.sum(F.col("near").cast("long")).alias("nearly"), F.sum("len").alias("chars"))
+    per = hit.groupBy("doc_id", "__row").agg(F.sum((~F.col("near")).cast("long")).alias("exact"), F.sum(F.col("near").cast("long")).alias("nearly"), F.sum("len").alias("chars"))
     text = F.coalesce("text", F.lit(""))
     n_lines = F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1
-    whole = docs.select("doc_id", n_lines.cast("long").alias("n_lines"), (F.length(text) - n_lines + 1).cast("long").alias("chars_in"))
+    whole = docs.select("doc_id", "__row", n_lines.cast("long").alias("n_lines"), (F.length(text) - n_lines + 1).cast("long").alias("chars_in"))
     zero = F.lit(0).cast("long")
-    return whole.join(per.withColumnRenamed("doc_id", "d"), F.col("doc_id").eqNullSafe(F.col("d")), "left").select(
+    return whole.join(per.withColumnsRenamed({"doc_id": "d", "__row": "r"}), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("__row") == F.col("r")), "left").select(
         "doc_id", "n_lines", F.coalesce("exact", zero).alias("exact_repeats"), F.coalesce("nearly", zero).alias("near_repeats"), (F.col("chars_in") - F.coalesce("chars", zero)).alias("kept_chars")
     )
 
@@ -222,14 +251,15 @@ def dedup_lines(docs: DataFrame, tau: int = TAU) -> DataFrame:
 
     Documents that lose all their lines go: all they say is said elsewhere. Others keep line order.
     """
+    given, docs = docs, _own_rows(docs)
     judged = judged_lines(docs, tau)
-    occ = _occurrences(docs).select("doc_id", "line_no", _place().alias("at"), *_hashes())
+    occ = _occurrences(docs).select("doc_id", "__row", "line_no", _place().alias("at"), *_hashes())
     hit = occ.join(judged, ["h1", "h2"]).where(F.col("near") | (F.col("at") != F.col("place")))
-    dropped = hit.groupBy("doc_id").agg(F.collect_set("line_no").alias("__dropped")).withColumnRenamed("doc_id", "__doc")
-    joined = docs.join(Kept(dropped, "dropped").df, F.col("doc_id").eqNullSafe(F.col("__doc")), "left")
+    dropped = hit.groupBy("doc_id", "__row").agg(F.collect_set("line_no").alias("__dropped")).withColumnsRenamed({"doc_id": "__doc", "__row": "__at"})
+    joined = docs.join(Kept(dropped, "dropped").df, F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("__row") == F.col("__at")), "left")
     kept = F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("__dropped", i))
     text = F.when(F.col("__dropped").isNull(), F.col("text")).otherwise(F.array_join(kept, "\n"))
     out = joined.withColumn("text", text).where(F.col("__dropped").isNull() | (F.trim(F.translate("text", "\n\r\t", "   ")) != ""))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("__dropped").isNull(), F.col("n_chars")).otherwise(F.length("text")).cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+    return out.select(*given.columns)

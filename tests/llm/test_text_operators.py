@@ -156,6 +156,19 @@ def test_line_dedup(spark):
     assert lines.dedup_lines(spark.createDataFrame([], util.SCHEMA)).count() == 0
 
 
+@pytest.mark.parametrize("doc_id", [7, None])
+def test_line_dedup_keeps_rows_of_one_id_apart(spark, doc_id):
+    texts = ["COMMON LINE\nunique b", "unique a\nCOMMON LINE", "COMMON LINE\nunique c"]
+    docs = spark.createDataFrame([(doc_id, t) for t in texts] + [(-(2**63), "lowest id\nunique d")], "doc_id long, text string").coalesce(1)
+    got = sorted(r.text for r in lines.dedup_lines(docs).collect())
+    assert got == sorted(["COMMON LINE\nunique b", "unique a", "unique c", "lowest id\nunique d"])
+    report = sorted((r.exact_repeats, r.near_repeats, r.kept_chars) for r in lines.line_report(docs).collect())
+    assert report == [(0, 0, 17), (0, 0, 19), (1, 0, 8), (1, 0, 8)]
+    same = spark.createDataFrame([(doc_id, "one text\nof two lines")] * 3, "doc_id long, text string")
+    assert [r.text for r in lines.dedup_lines(same).collect()] == ["one text\nof two lines"]
+    assert sorted(r.kept_chars for r in lines.line_report(same).collect()) == [0, 0, 20]
+
+
 def test_line_dedup_is_native(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     for df in (lines.dedup_lines(docs), lines.line_report(docs)):
