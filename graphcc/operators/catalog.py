@@ -328,3 +328,7 @@ def _(spark, d):
 _COS_ALL = "SELECT a.vec_id AS a, b.vec_id AS b, round({cosine}, 6) AS cosine FROM {embeddings} a JOIN {embeddings} b ON a.label = b.label AND a.vec_id < b.vec_id"
 query("whole_cosine_vectorised_w5", duck_sql(_COS_ALL))(lambda spark, d: _cosine_vectorised(t(spark, d, "embeddings")))
 query("whole_cosine_builtin_w5", duck_sql(_COS_ALL))(lambda spark, d: spark.sql(spark_sql(_COS_ALL, d)))
+query(
+    "whole_contract_w3_by_w2",
+    f"WITH l AS ({workload_sql('w2')}), e AS ({duck_sql(EDGES['w3'])}), x AS (SELECT coalesce(a.component, u) AS x, coalesce(b.component, v) AS y FROM e LEFT JOIN l a ON a.node = u LEFT JOIN l b ON b.node = v) SELECT DISTINCT least(x, y) AS u, greatest(x, y) AS v FROM x WHERE x <> y",
+)(lambda spark, d: G.contract(edges(spark, d, "w3"), cc(spark, d, "w2")))
