@@ -5,18 +5,36 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
+from graphcc.session import Kept
 
-def components(edges: DataFrame, max_depth: int = 12) -> DataFrame:
-    """Walks that never turn straight back, up to ``max_depth`` steps: enough for components of that diameter."""
-    view = f"edges_{uuid.uuid4().hex[:10]}"
-    edges.where("u <> v").createOrReplaceTempView(view)
-    return edges.sparkSession.sql(f"""
+
+def _walked(spark, view: str, depth: int) -> DataFrame:
+    return spark.sql(f"""
         WITH RECURSIVE
         both AS (SELECT u, v FROM {view} UNION SELECT v, u FROM {view}),
-        reach(node, other, came_from, depth) AS (
+        reach(node, other, came_from, depth) MAX RECURSION LEVEL {depth + 2} AS (
             SELECT DISTINCT u, u, CAST(NULL AS BIGINT), 0 FROM both
             UNION ALL
             SELECT r.node, b.v, r.other, r.depth + 1 FROM reach r JOIN both b ON b.u = r.other
-            WHERE r.depth < {max_depth} AND (r.came_from IS NULL OR b.v <> r.came_from))
+            WHERE r.depth < {depth} AND (r.came_from IS NULL OR b.v <> r.came_from))
         SELECT node, min(other) AS component FROM reach GROUP BY node""")
+
+
+def components(edges: DataFrame, max_depth: int = 12) -> DataFrame:
+    """Walks that never turn straight back, of up to ``max_depth`` steps; while an edge joins two labels, twice as many.
+
+    Once no edge does, a label is the smallest id of its whole component. Spark's own limit on recursive
+    rows stops what is too large for this with an error.
+    """
+    spark, view = edges.sparkSession, f"edges_{uuid.uuid4().hex[:10]}"
+    pairs = Kept(edges.where("u <> v").select("u", "v"), "pairs").df
+    pairs.createOrReplaceTempView(view)
+    depth = max(1, max_depth)
+    while True:
+        labels = Kept(_walked(spark, view, depth), "walked").df
+        one, two = labels.toDF("u", "cu"), labels.toDF("v", "cv")
+        if pairs.join(one, "u").join(two, "v").where("cu <> cv").isEmpty():
+            return labels
+        depth *= 2

@@ -3,6 +3,7 @@
 import duckdb
 
 import __spark_entry__ as entry
+from graphcc.plans.components import connected_components
 from tests.test_catalog import tidy
 
 
@@ -25,3 +26,9 @@ def test_quotient_of_all_order_part_links(spark, sf):
     whole = same_as_sql(spark, sf, "whole_contract_w3_by_w2")
     part = entry.queries()["contract_w3_by_w2"](spark, sf).collect()
     assert {tuple(r) for r in part} < {tuple(r) for r in whole}
+
+
+def test_recursive_sql_walks_to_the_end(spark):
+    chain = [(i, i + 1) for i in range(40)] + [(100, 101), (101, 102), (102, 100)]
+    stars = connected_components(spark.createDataFrame(chain, "u long, v long"), method="recursive_sql")
+    assert {r.node: r.component for r in stars.collect()} == {i: 0 for i in range(41)} | {i: 100 for i in (100, 101, 102)}
