@@ -19,6 +19,9 @@ Null text counts as empty. Blank lines and lines under ``EXACT_CHARS`` character
 doc_id sorts first. Rows that share an id, or have none, are documents of their own: they get numbers,
 written once with their texts to the shared folder. An empty table gives no rows.
 Extra columns pass through ``dedup_lines`` unchanged.
+
+With ``short``, exact repeats of every non-blank line go too, and lines of ``EXACT_CHARS`` characters or more
+within ``SHORT_TAU`` edits of an earlier one.
 """
 
 from __future__ import annotations
@@ -32,6 +35,8 @@ from pyspark.sql import functions as F
 from graphcc.session import Kept, release_shuffles
 
 TAU, NEAR_CHARS, EXACT_CHARS = 2, 32, 6
+#: With ``short``, the edits allowed where the shorter line has ``EXACT_CHARS`` to ``NEAR_CHARS`` - 1 characters.
+SHORT_TAU = 1
 LETTERS = "entharoisd"
 #: Ids of lines to fetch are broadcast up to this many (24 bytes each), else joined by shuffle.
 BROADCAST_ROWS = 200_000
@@ -166,9 +171,9 @@ def _own_rows(docs: DataFrame) -> DataFrame:
     return own.select(*docs.columns, "__row").unionByName(numbered.select(*docs.columns, "__row"))
 
 
-def _occurrences(docs: DataFrame) -> DataFrame:
+def _occurrences(docs: DataFrame, least: int = EXACT_CHARS) -> DataFrame:
     lines = F.split(F.coalesce("text", F.lit("")), "\n")
-    return docs.select("doc_id", "__row", F.posexplode(lines).alias("line_no", "line")).where((F.length("line") >= EXACT_CHARS) & (F.trim("line") != ""))
+    return docs.select("doc_id", "__row", F.posexplode(lines).alias("line_no", "line")).where((F.length("line") >= least) & (F.trim("line") != ""))
 
 
 def _place() -> Column:
@@ -181,13 +186,14 @@ def _hashes() -> list[Column]:
     return [F.xxhash64("line").alias("h1"), F.xxhash64(F.lit(77), "line").alias("h2")]
 
 
-def distinct_lines(docs: DataFrame, tau: int = TAU) -> Kept:
+def distinct_lines(docs: DataFrame, tau: int = TAU, least: int = EXACT_CHARS, most: int | None = None) -> Kept:
     """One row a distinct line: first place, occurrences, hashes, and what the join needs of its text.
 
     Only hashes and keys are brought together, not the texts; lines are told apart by 128 bits.
     """
     keys = [c.alias(f"k{j}") for j, c in enumerate(segment_keys(tau))]
-    occ = with_segments(_occurrences(docs).withColumn("len", F.length("line")), tau)
+    found = _occurrences(docs, least)
+    occ = with_segments((found.where(F.length("line") <= most) if most else found).withColumn("len", F.length("line")), tau)
     # The empty lambda keeps this step out of whole-stage code, whose one method would be too long to be compiled.
     occ = occ.select(*_hashes(), _place().alias("place"), _once(F.col("len"), lambda n: n).alias("len"), letter_counts(F.col("line")).alias("letters"), *keys)
     same = [F.max(c).alias(c) for c in ("len", "letters", *[f"k{j}" for j in range(len(keys))])]  # equal for all occurrences
@@ -195,10 +201,10 @@ def distinct_lines(docs: DataFrame, tau: int = TAU) -> Kept:
     return Kept(per.select(F.monotonically_increasing_id().alias("lid"), "h1", "h2", "place", "n", "len", "letters", F.array(*[f"k{j}" for j in range(len(keys))]).alias("keys")), "lines")
 
 
-def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
-    """``(a, b)``: ids of distinct lines within ``tau`` edits, ``a`` the longer."""
-    spread = lines.where(F.col("len") >= NEAR_CHARS).select("lid", "letters", F.posexplode("keys").alias("p", "key")).where("key IS NOT NULL")
-    index = spread.where(F.col("p") <= tau).select("key", F.col("lid").alias("b"), F.col("letters").alias("cb"))
+def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU, least: int = NEAR_CHARS, below: int | None = None) -> DataFrame:
+    """``(a, b)``: ids of distinct lines within ``tau`` edits, ``a`` the longer; ``below`` bounds the length of ``b``."""
+    spread = lines.where(F.col("len") >= least).select("lid", "len", "letters", F.posexplode("keys").alias("p", "key")).where("key IS NOT NULL")
+    index = spread.where((F.col("p") <= tau) & (F.col("len") < below if below else F.lit(True))).select("key", F.col("lid").alias("b"), F.col("letters").alias("cb"))
     # The key holds the shorter length, so only probes of a line's own length could meet a pair twice.
     same = F.col("p").isin([p for p, (delta, _, _) in enumerate(probes(tau)) if delta == 0])
     probe = spread.select("key", F.when(same, -F.col("lid") - 1).otherwise(F.col("lid")).alias("a"), F.col("letters").alias("ca"))
@@ -211,30 +217,39 @@ def near_pairs(docs: DataFrame, lines: DataFrame, tau: int = TAU) -> DataFrame:
     wanted = found.df.select(F.col("a").alias("lid")).union(found.df.select("b")).distinct()
     wanted = Kept(lines.join(wanted, "lid", "left_semi").select("lid", "h1", "h2"), "wanted")
     few = wanted.df.count() <= BROADCAST_ROWS
-    occ = _occurrences(docs).where(F.length("line") >= NEAR_CHARS).select("line", *_hashes())
+    occ = _occurrences(docs).where(F.length("line") >= least).select("line", *_hashes())
     texts = occ.join(F.broadcast(wanted.df) if few else wanted.df, ["h1", "h2"]).groupBy("lid", "line").agg(F.count(F.lit(1)).alias("c")).select("lid", "line")
     texts = Kept(texts, "texts").df
     one, two = texts.select(F.col("lid").alias("a"), F.col("line").alias("ta")), texts.select(F.col("lid").alias("b"), F.col("line").alias("tb"))
     return found.df.join(one, "a").join(two, "b").where(within(F.col("ta"), F.col("tb"), tau)).select("a", "b")
 
 
-def judged_lines(docs: DataFrame, tau: int = TAU) -> DataFrame:
+def _later(pairs: DataFrame, lines: DataFrame) -> DataFrame:
+    """``lid`` of the later line of each pair."""
+    places = lines.select("lid", "place")
+    both = pairs.join(places.withColumnRenamed("place", "pa").withColumnRenamed("lid", "a"), "a").join(places.withColumnRenamed("place", "pb").withColumnRenamed("lid", "b"), "b")
+    return Kept(both.select(F.when(F.col("pa") > F.col("pb"), F.col("a")).otherwise(F.col("b")).alias("lid")).distinct(), "later").df
+
+
+def judged_lines(docs: DataFrame, tau: int = TAU, short: bool = False) -> DataFrame:
     """``(h1, h2, place, near)`` of lines that occur again or lie near an earlier line."""
-    lines = distinct_lines(docs, tau)
+    lines = distinct_lines(docs, tau, 1 if short else EXACT_CHARS)
     release_shuffles(docs.sparkSession)  # what was brought together for this is not needed again
-    pairs = near_pairs(docs, lines.df, tau)
-    places = lines.df.select("lid", "place")
-    both = pairs.join(places.withColumnRenamed("place", "pa").withColumnRenamed("lid", "a"), "a").join(places.withColumnRenamed("place", "pb").withColumnRenamed("lid", "b"), "b")
-    later = Kept(both.select(F.when(F.col("pa") > F.col("pb"), F.col("a")).otherwise(F.col("b")).alias("lid")).distinct(), "later").df
+    later = _later(near_pairs(docs, lines.df, tau), lines.df)
+    if short:
+        brief = distinct_lines(docs, SHORT_TAU, EXACT_CHARS, NEAR_CHARS - 1 + SHORT_TAU).df
+        nearby = _later(near_pairs(docs, brief, SHORT_TAU, EXACT_CHARS, NEAR_CHARS), brief)
+        hashes = brief.join(nearby, "lid", "left_semi").select("h1", "h2")
+        later = later.union(lines.df.join(hashes, ["h1", "h2"], "left_semi").select("lid")).distinct()
     flagged = lines.df.select("lid", "h1", "h2", "place", "n").join(later.withColumn("near", F.lit(True)), "lid", "left").where("n > 1 OR near")
     return Kept(flagged.select("h1", "h2", "place", F.coalesce("near", F.lit(False)).alias("near")), "judged").df
 
 
-def line_report(docs: DataFrame, tau: int = TAU) -> DataFrame:
+def line_report(docs: DataFrame, tau: int = TAU, short: bool = False) -> DataFrame:
     """``(doc_id, n_lines, exact_repeats, near_repeats, kept_chars)``: kept_chars without the newlines."""
     docs = _own_rows(docs.select("doc_id", "text"))
-    judged = judged_lines(docs, tau)
-    occ = _occurrences(docs).select("doc_id", "__row", _place().alias("at"), F.length("line").alias("len"), *_hashes())
+    judged = judged_lines(docs, tau, short)
+    occ = _occurrences(docs, 1 if short else EXACT_CHARS).select("doc_id", "__row", _place().alias("at"), F.length("line").alias("len"), *_hashes())
     hit = occ.join(judged, ["h1", "h2"]).where(F.col("near") | (F.col("at") != F.col("place")))
     per = hit.groupBy("doc_id", "__row").agg(F.sum((~F.col("near")).cast("long")).alias("exact"), F.sum(F.col("near").cast("long")).alias("nearly"), F.sum("len").alias("chars"))
     text = F.coalesce("text", F.lit(""))
@@ -246,14 +261,14 @@ def line_report(docs: DataFrame, tau: int = TAU) -> DataFrame:
     )
 
 
-def dedup_lines(docs: DataFrame, tau: int = TAU) -> DataFrame:
+def dedup_lines(docs: DataFrame, tau: int = TAU, short: bool = False) -> DataFrame:
     """All columns of ``docs``, ``text`` without dropped lines (and ``n_chars``, if there, as its new length).
 
     Documents that lose all their lines go: all they say is said elsewhere. Others keep line order.
     """
     given, docs = docs, _own_rows(docs)
-    judged = judged_lines(docs, tau)
-    occ = _occurrences(docs).select("doc_id", "__row", "line_no", _place().alias("at"), *_hashes())
+    judged = judged_lines(docs, tau, short)
+    occ = _occurrences(docs, 1 if short else EXACT_CHARS).select("doc_id", "__row", "line_no", _place().alias("at"), *_hashes())
     hit = occ.join(judged, ["h1", "h2"]).where(F.col("near") | (F.col("at") != F.col("place")))
     dropped = hit.groupBy("doc_id", "__row").agg(F.collect_set("line_no").alias("__dropped")).withColumnsRenamed({"doc_id": "__doc", "__row": "__at"})
     joined = docs.join(Kept(dropped, "dropped").df, F.col("doc_id").eqNullSafe(F.col("__doc")) & (F.col("__row") == F.col("__at")), "left")

@@ -60,6 +60,13 @@ def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_report(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op4_line_dedup_short(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Short lines too: exact repeats of any length, one edit from six characters on."""
+    from graphcc.llm.lines import line_report
+
+    return line_report(table(spark, sf_dir, "documents", "doc_id", "text"), short=True)
+
+
 OP4_SQL = """
 WITH d AS (SELECT doc_id, coalesce(text, '') AS text, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),
 o AS (SELECT doc_id, unnest(ls) AS line, generate_subscripts(ls, 1) AS line_no FROM d),
@@ -146,5 +153,5 @@ f AS (SELECT n, arg_max(rhost || rpath, length(rhost || rpath)) AS rule, arg_max
 SELECT page_id, host, path, rule, coalesce(f.verdict, 'allow') AS verdict FROM h LEFT JOIN f USING (n)
 """
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op4_line_dedup, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op9_nearest_neighbours, op10_url_filter)}
+QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op4_line_dedup, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op9_nearest_neighbours, op10_url_filter, op4_line_dedup_short)}
 ORACLES = {"op2_token_rollup": OP2_SQL, "op4_line_dedup": OP4_SQL, "op7_mixing": OP7_SQL, "op10_url_filter": OP10_SQL}

@@ -169,6 +169,22 @@ def test_line_dedup_keeps_rows_of_one_id_apart(spark, doc_id):
     assert sorted(r.kept_chars for r in lines.line_report(same).collect()) == [0, 0, 20]
 
 
+def test_line_dedup_of_short_lines(spark):
+    long = "abcdefgh ijklmnop qrstuvwx yz01"  # 31 characters
+    texts = ["Home\n\nContact us today\nabcdef", "Home\n\nContact us toda\nabcdXX\nab", "ab\nContact us tdoay\nabcdeg\nabcdegh\nHomes", long, long + "2\nown line", "q" + long + "2\nlast one"]
+    seen = [(d, i, x) for d, t in enumerate(texts) for i, x in enumerate(t.split("\n")) if x.strip()]
+    first = {}
+    for d, i, x in seen:
+        first.setdefault(x, (d, i))
+    most = lambda x, y: 2 if min(len(x), len(y)) >= 32 else 1 if min(len(x), len(y)) >= 6 else 0
+    near = {x for x in first if any(first[y] < first[x] and util.edits(x, y) <= most(x, y) for y in first)}
+    gone = {(d, i) for d, i, x in seen if x in near or first[x] != (d, i)}
+    want = {d: "\n".join(x for i, x in enumerate(t.split("\n")) if (d, i) not in gone) for d, t in enumerate(texts)}
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.text for r in lines.dedup_lines(docs, short=True).collect()}
+    assert got == {d: t for d, t in want.items() if t.strip()} and len(gone) == 7
+
+
 def test_line_dedup_is_native(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     for df in (lines.dedup_lines(docs), lines.line_report(docs)):
