@@ -91,6 +91,16 @@ def test_stages(spark, sf):
     assert sum(r.length for r in packed) == tokens and max(r.offset + r.length for r in packed) <= 2048
 
 
+def test_quality_stage_drops_bad_documents(spark):
+    sf = "/root/testdata/sf0.1"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    held = spark.read.parquet(f"{sf}/labels.parquet").where("quality IS NOT NULL AND pmod(crc32(CAST(CAST(doc_id AS STRING) AS BINARY)), 4) = 2")
+    left = corpus_pipeline.quality_filter(spark, docs, sf).select("doc_id")
+    bad, good = (held.where(f"quality = {q}").select("doc_id").distinct() for q in (0, 1))
+    assert bad.join(left, "doc_id", "left_semi").count() <= 0.3 * bad.count()
+    assert good.join(left, "doc_id", "left_anti").count() <= 0.01 * good.count()
+
+
 def test_near_duplicates_keep_one_of_repeated_rows(spark):
     docs = util.documents(spark, ["a b c d e f g"] * 3 + [None, "", "other words in this one here"])
     docs = docs.union(docs.where("doc_id = 5")).union(docs.where("doc_id = 5"))
