@@ -1,9 +1,13 @@
 """Queries that take the whole of their input, against SQL over all of it."""
 
+import collections
+
 import duckdb
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from graphcc.plans.components import connected_components
+from graphcc.sources.workloads import edges
 from tests.test_catalog import tidy
 
 
@@ -32,3 +36,24 @@ def test_recursive_sql_walks_to_the_end(spark):
     chain = [(i, i + 1) for i in range(40)] + [(100, 101), (101, 102), (102, 100)]
     stars = connected_components(spark.createDataFrame(chain, "u long, v long"), method="recursive_sql")
     assert {r.node: r.component for r in stars.collect()} == {i: 0 for i in range(41)} | {i: 100 for i in (100, 101, 102)}
+
+
+def test_local_measures_of_eight_tasks(spark, sf):
+    task = F.pmod(F.hash("u"), F.lit(8))  # where a repartition by u puts a row
+    parts = collections.defaultdict(list)
+    for r in edges(spark, sf, "w2").select("u", "v", task.alias("task")).collect():
+        parts[r.task].append((r.u, r.v))
+    roles, pairs, loops = collections.defaultdict(lambda: [0, 0]), 0, 0
+    for part in parts.values():
+        root = {x: x for e in part for x in e}
+        while any(root[u] != root[v] for u, v in part):
+            for u, v in part:
+                root[u] = root[v] = min(root[u], root[v])
+        for x, r in root.items():
+            roles[x][x != r] += 1
+            pairs, loops = pairs + (x != r), loops + (x == r)
+    got = entry.queries()["local_reduction_w2_k8"](spark, sf).first()
+    assert (got.pairs, got.self_links) == (pairs, loops)
+    cases = {(r.as_parent, r.as_child): r.nodes for r in entry.queries()["proof_scenarios_w2_k8"](spark, sf).collect()}
+    assert cases == collections.Counter(map(tuple, roles.values()))
+    assert len(parts) > 1 and max(a + b for a, b in cases) > 1
