@@ -111,17 +111,18 @@ class Tree:
         down(0, np.arange(len(x)))
         return out
 
-    def visit(self, x: np.ndarray, most: int) -> Iterator[list[int]]:
-        """For each vector the first ``most`` leaves, best bin first."""
+    def visit(self, x: np.ndarray, most: int, rows: np.ndarray | None = None, least: int = 0) -> Iterator[list[int]]:
+        """For each vector the first ``most`` leaves, best bin first, and further ones until they hold ``least`` rows, ``rows`` being each leaf's."""
         for near in unit(x) @ self.centres.T:
-            queue, met = [(0.0, 0)], []
-            while queue and len(met) < most:
+            queue, met, held = [(0.0, 0)], [], 0
+            while queue and (len(met) < most or held < least):
                 _, node = heapq.heappop(queue)
                 if self.children[node]:
                     for kid in self.children[node]:
                         heapq.heappush(queue, (-near[kid], kid))
                 else:
                     met.append(self.leaf[node])
+                    held += 0 if rows is None else int(rows[self.leaf[node]])
             yield met
 
 
@@ -189,13 +190,13 @@ def _brute(shared, dims: int, k: int):
     return run
 
 
-def _routes(shared, dims: int, visits: int):
+def _routes(shared, dims: int, visits: int, held: np.ndarray, least: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tree = shared.value
         for batch in batches:
             ids, x = matrix(batch, dims)
             rows: list[tuple] = []
-            for i, leaves in enumerate(tree.visit(x, visits)):
+            for i, leaves in enumerate(tree.visit(x, visits, held, least)):
                 by: dict[int, list[int]] = {}
                 for leaf in leaves:
                     by.setdefault(tree.branch[leaf], []).append(leaf)
@@ -282,7 +283,12 @@ def nearest(
     asked_in_all = sum(r.q or 0 for r in sizes.values())
     blocks = F.create_map(*[x for b, r in sizes.items() for x in (F.lit(b), F.lit(-(-r.n // group_rows)))])
     q_blocks = max(1, -(-asked_in_all // group_queries))
-    routes = index.where(is_query).select("vec_id", "embedding").mapInArrow(_routes(shared, dims, visits), "vec_id long, embedding array<float>, branch int, leaves array<int>")
+    # A query goes on until its leaves hold k rows besides those of its own id.
+    held = np.zeros(tree.leaves, np.int64)
+    for r in index.groupBy("leaf").agg(F.count(F.lit(1)).alias("n")).collect():
+        held[r.leaf] = r.n
+    least = k + (index.groupBy("vec_id").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n").alias("n")).first().n or 0)
+    routes = index.where(is_query).select("vec_id", "embedding").mapInArrow(_routes(shared, dims, visits, held, least), "vec_id long, embedding array<float>, branch int, leaves array<int>")
     n_blocks = F.element_at(blocks, F.col("branch"))
     left = routes.where(n_blocks.isNotNull()).withColumn("qb", F.pmod(F.xxhash64("vec_id"), F.lit(q_blocks)).cast("int")).withColumn("rb", F.explode(F.sequence(F.lit(0), (n_blocks - 1).cast("int"))))
     right = index.withColumn("rb", F.pmod(F.xxhash64("vec_id", F.lit(3)), n_blocks).cast("int")).withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1))))

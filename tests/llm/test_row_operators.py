@@ -221,6 +221,14 @@ def test_nearest_neighbours(spark):
     assert [r.rank for r in few] == [1, 2]
 
 
+def test_nearest_neighbours_are_k_where_leaves_are_small(spark):
+    rng = np.random.default_rng(4)
+    rows = [(i, rng.normal(size=8).astype(np.float32).tolist()) for i in range(300)] + [(0, [1.0] * 8)] * 6
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = neighbours.nearest(df, F.col("vec_id") % 50 == 0, recall=0.01).groupBy("query_id").agg(F.max("rank").alias("n")).collect()
+    assert {r.query_id: r.n for r in got} == {q: 5 for q in range(0, 300, 50)}
+
+
 def test_url_rules(spark):
     urls = ["http://A.example.com/en/1", "https://www.example.com/en/1?x", "http://example.com/fr/", "http://x.net/es/a#b", "net://net/fr/", "http://badnet/es/", "no url", None, "", "http://", "http://Q.ORG", "://com/?a", "http://EXAMPLE.com/EN/"]
     pages = spark.createDataFrame([(i, u, "h") for i, u in enumerate(urls)], "page_id long, url string, host string")
