@@ -13,6 +13,8 @@ import gc
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -54,6 +56,22 @@ def exists(spark: SparkSession, path: str) -> bool:
     return where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(where)
 
 
+#: Bytes of an Arrow batch in steps that are computed at once: two workers of a task hold one each, and the JVM a third.
+ARROW_BYTES = 8 << 20
+
+
+@contextmanager
+def small_batches(spark: SparkSession, most: int = ARROW_BYTES) -> Iterator[None]:
+    """Python workers get batches of at most ``most`` bytes inside; the session's own setting holds again after it."""
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(name, None)
+    spark.conf.set(name, str(most))
+    try:
+        yield
+    finally:
+        spark.conf.unset(name) if before is None else spark.conf.set(name, before)
+
+
 class Kept:
     """A DataFrame written to the shared folder and read back; ``drop`` removes its files."""
 
@@ -61,7 +79,8 @@ class Kept:
         self.spark = df.sparkSession
         self.path = scratch_path(self.spark, name)
         out = df.write.mode("overwrite")
-        (out.partitionBy(*partition_by) if partition_by else out).parquet(self.path)
+        with small_batches(self.spark):
+            (out.partitionBy(*partition_by) if partition_by else out).parquet(self.path)
         schema = df.schema
         self.df = self.spark.read.schema(schema).parquet(self.path)
 
