@@ -103,7 +103,7 @@ def train(docs: DataFrame, labels: DataFrame, bits: int = BITS, sample_rows: int
     return np.frombuffer(bytes(got[0].weights), "<f4") if got else np.zeros((1 << bits) + 1, "<f4")
 
 
-def _scorer(weights, bits: int, passed: int):
+def _scorer(weights, bits: int, passed: int, into: str):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w = weights.value
         for batch in batches:
@@ -113,14 +113,14 @@ def _scorer(weights, bits: int, passed: int):
                 size = np.diff(at)
                 dot = (sums[at[1:]] - sums[at[:-1]]) / np.sqrt(np.maximum(1, size)) + float(w[-1])
                 score = np.round(1 / (1 + np.exp(-np.clip(dot, -500, 500))), 9)
-                yield pa.RecordBatch.from_arrays([*part.columns[:passed], pa.array(score)], [*part.schema.names[:passed], "score"])
+                yield pa.RecordBatch.from_arrays([*part.columns[:passed], pa.array(score)], [*part.schema.names[:passed], into])
 
     return run
 
 
-def score(docs: DataFrame, weights: np.ndarray, bits: int = BITS) -> DataFrame:
-    """All columns of ``docs``, and ``score`` (in place of one of that name): the probability that the text is labelled 1."""
-    docs = docs.drop("score")
+def score(docs: DataFrame, weights: np.ndarray, bits: int = BITS, into: str = "score") -> DataFrame:
+    """All columns of ``docs``, and ``into`` (in place of one of that name): the probability that the text is labelled 1."""
+    docs = docs.drop(into)
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # 2**bits floats, whatever the corpus
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + ", score double"
-    return docs.mapInArrow(_scorer(shared, bits, len(docs.columns)), schema)
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema) + f", `{into}` double"
+    return docs.mapInArrow(_scorer(shared, bits, len(docs.columns), into), schema)

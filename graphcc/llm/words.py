@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-SLICE = 1 << 20
+SLICE = 1 << 18
 _U = np.uint64
 _rng = np.random.default_rng(20240607)
 BYTE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * _U(2) + _U(1)
@@ -50,21 +50,28 @@ def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers["up"], _powers["down"]
 
 
+def _offsets(col: pa.Array) -> np.ndarray:
+    """Row offsets of a string column into its data buffer, as they lie there."""
+    kind = np.int64 if pa.types.is_large_string(col.type) else np.int32
+    where = col.buffers()[1]
+    return np.frombuffer(where, kind)[col.offset : col.offset + len(col) + 1] if where is not None else np.zeros(len(col) + 1, kind)
+
+
 def text_buffer(col: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """The bytes of a string column and its row offsets, nulls as empty."""
-    col = pc.fill_null(col.cast(pa.large_string()), "")
-    _, where, data = col.buffers()
-    at = np.frombuffer(where, np.int64)[col.offset : col.offset + len(col) + 1]
+    if not (pa.types.is_string(col.type) or pa.types.is_large_string(col.type)):
+        col = col.cast(pa.large_string())
+    col = pc.fill_null(col, "") if col.null_count else col
+    at, data = _offsets(col).astype(np.int64), col.buffers()[2]
     raw = np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)
     return raw[at[0] : at[-1]], at - at[0]
 
 
-def slices(batch: pa.RecordBatch, column: str = "text", target: int = SLICE) -> Iterator[pa.RecordBatch]:
-    """Rows of a batch in runs of about ``target`` bytes of text, one row at least."""
-    size = pc.fill_null(pc.binary_length(batch.column(column).cast(pa.large_string())), 0).to_numpy(zero_copy_only=False)
-    ends = np.cumsum(size)
-    a = 0
-    while a < len(size):
+def slices(batch: pa.RecordBatch, column: str = "text", target: int | None = None) -> Iterator[pa.RecordBatch]:
+    """Rows of a batch in runs of about ``target`` (``SLICE``) bytes of text, one row at least."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+    a, target = 0, target or SLICE
+    while a < len(ends):
         b = max(a + 1, int(np.searchsorted(ends, (ends[a - 1] if a else 0) + target, "right")))
         yield batch.slice(a, b - a)
         a = b
