@@ -2,8 +2,8 @@
 
 Every stage takes ``(spark, docs, sf_dir)`` and returns a DataFrame; ``run`` writes each stage's
 result as Parquet in the shared scratch folder and reads it again for the next. All stages but the
-last return the columns of ``documents``. Rows with null fields and empty texts pass through all
-stages; repeated rows of one document become one in ``near_duplicates``.
+last return the columns of ``documents``, extra ones of any name included. Rows with null fields and empty texts
+pass through all stages; rows with equal or near texts become one in ``near_duplicates``, whatever their ids.
 """
 
 from __future__ import annotations
@@ -27,7 +27,7 @@ ORACLE_SQL = None
 def quality_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drop documents that the classifier, trained on the labelled ones outside the held-out fold, rejects."""
     weights = quality.train(docs, table(spark, sf_dir, "labels"))
-    return quality.score(docs, weights).where(F.col("score") >= LEAST_SCORE).select(*docs.columns)
+    return quality.score(docs, weights, into="__score").where(F.col("__score") >= LEAST_SCORE).select(*docs.columns)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,17 +36,20 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the document with the smallest id of each component of near duplicates (5 words, 0.8)."""
-    judged = jaccard.near_duplicates(docs, k=5, percent=80)
-    gone = Kept(judged.where("doc_id <> component_id").select("doc_id").distinct(), "gone").df
+    """Keep one row of each component of near duplicates (5 words, 0.8): the one with the smallest id, or the first of these.
+
+    Rows are nodes of their own, known by their number in reading order, so that rows which share an id, or have none,
+    stay unless their texts are alike.
+    """
+    rows = docs.withColumn("__row", F.monotonically_increasing_id())
+    judged = jaccard.near_duplicates(rows.select(F.col("__row").alias("doc_id"), "text"), k=5, percent=80)
+    judged = Kept(judged.select(F.col("doc_id").alias("__row"), "component_id"), "judged").df
+    several = judged.where("__row <> component_id").select("component_id").distinct()
+    members = judged.join(several, "component_id", "left_semi").join(rows.select("__row", "doc_id"), "__row")
+    first = members.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "__row")).getField("__row").alias("keep"))
+    gone = Kept(members.join(first, "component_id").where("__row <> keep").select("__row"), "gone").df
     few = gone.count() <= BROADCAST_ROWS
-    left = docs.join(F.broadcast(gone) if few else gone, "doc_id", "left_anti")
-    twice = docs.where("doc_id IS NOT NULL").groupBy("doc_id").count().where("count > 1").select("doc_id")
-    if twice.isEmpty():
-        return left.select(*docs.columns)
-    again = Kept(twice, "twice").df
-    once = left.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return left.join(again, "doc_id", "left_anti").select(*docs.columns).unionByName(once.select(*docs.columns))
+    return rows.join(F.broadcast(gone) if few else gone, "__row", "left_anti").select(*docs.columns)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
