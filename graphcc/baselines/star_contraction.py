@@ -43,14 +43,14 @@ def components(edges: DataFrame, schedule: str = "alternate", max_rounds: int =
             from graphcc.plans.components import NotConverged
 
             raise NotConverged(f"no fix point after {max_rounds} steps")
-        out, seen = observed(step(pairs), checksum=F.pmod(F.xxhash64("u", "v"), F.lit(1 << 40)))
+        out, seen = observed(step(pairs), ["u", "v"])
         with run.timed(phase, r):
             new = Kept(out, "pairs")
         run.add(phase, r, records=seen.get["n"])
         if kept:
             kept.drop()
         kept, pairs = new, new.df
-        return seen.get["n"], seen.get["checksum"]
+        return seen.get["n"], seen.get["fingerprint"]
 
     while True:
         if schedule == "inner_fixpoint":

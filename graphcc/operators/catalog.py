@@ -332,3 +332,48 @@ query(
     "whole_contract_w3_by_w2",
     f"WITH l AS ({workload_sql('w2')}), e AS ({duck_sql(EDGES['w3'])}), x AS (SELECT coalesce(a.component, u) AS x, coalesce(b.component, v) AS y FROM e LEFT JOIN l a ON a.node = u LEFT JOIN l b ON b.node = v) SELECT DISTINCT least(x, y) AS u, greatest(x, y) AS v FROM x WHERE x <> y",
 )(lambda spark, d: G.contract(edges(spark, d, "w3"), cc(spark, d, "w2")))
+
+
+@query("op_order_by", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey")
+def _(spark, d):
+    return t(spark, d, "orders").select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey")
+
+
+@query("op_sort_within_partitions", "SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderkey)::BIGINT AS at FROM orders")
+def _(spark, d):
+    """Orders of a customer numbered by one pass over partitions that hold whole customers, sorted."""
+
+    def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, at = None, 0
+        for b in batches:
+            places = []
+            for customer in b.column(0).to_pylist():
+                at = at + 1 if customer == last else 1
+                last = customer
+                places.append(at)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(places, pa.int64())], ["o_custkey", "o_orderkey", "at"])
+
+    dealt = t(spark, d, "orders").select("o_custkey", "o_orderkey").repartition("o_custkey").sortWithinPartitions("o_custkey", "o_orderkey")
+    return dealt.mapInArrow(number, "o_custkey long, o_orderkey long, at long")
+
+
+query("op_to_json", "SELECT event_id, '{\"u\":' || user_id || ',\"t\":\"' || event_type || '\"}' AS j FROM events WHERE user_id IS NOT NULL AND event_type IS NOT NULL")(
+    lambda spark, d: t(spark, d, "events").where("user_id IS NOT NULL AND event_type IS NOT NULL").select("event_id", F.to_json(F.struct(F.col("user_id").alias("u"), F.col("event_type").alias("t"))).alias("j"))
+)
+
+
+@query("op_row_hashes", "SELECT page_id, true AS same, true AS bounded FROM pages")
+def _(spark, d):
+    """The 64-bit, 32-bit and checksum hashes of equal values agree, whatever the expression that gave them."""
+    again = F.concat(F.substring("url", 1, 4), F.substring("url", 5, 1 << 20))
+    same = (F.xxhash64("url") == F.xxhash64(again)) & (F.hash("url") == F.hash(again)) & (F.crc32(F.encode("url", "UTF-8")) == F.crc32(F.encode(again, "UTF-8")))
+    return t(spark, d, "pages").select("page_id", same.alias("same"), F.crc32(F.encode("url", "UTF-8")).between(0, 2**32 - 1).alias("bounded"))
+
+
+_W6_FAR = f"SELECT component, (count(*) - 1)::BIGINT AS least_diameter FROM ({workload_sql('w6')}) GROUP BY component"
+
+
+@query("diameter_hint_w6", _W6_FAR)
+def _(spark, d):
+    """How far the farthest node lies from the smallest of its component: a lower bound of the diameter, all of it in a chain."""
+    return G.diameter_hint(edges(spark, d, "w6"), cc(spark, d, "w6"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphcc.plans.components import connected_components
+from graphcc.session import Kept
 
 LCC_NODES = 5000
 
@@ -72,3 +73,22 @@ def split_lcc(edges: DataFrame, max_degree: int, **options) -> DataFrame:
     hubs = degree(edges).where(F.col("degree") > max_degree).select("node")
     left = edges.join(hubs.withColumnRenamed("node", "u"), "u", "left_anti").join(hubs.withColumnRenamed("node", "v"), "v", "left_anti")
     return connected_components(left, **options)
+
+
+def diameter_hint(edges: DataFrame, stars: DataFrame, max_rounds: int = 1000) -> DataFrame:
+    """``(component, least_diameter)``: the farthest any node lies from the smallest one, by a breadth-first walk of all components at once.
+
+    A component's diameter is that at least, and twice that at most. Only the last step's nodes meet the edges.
+    """
+    e = edges.where("u <> v")
+    both = Kept(e.select("u", "v").union(e.select("v", "u")).distinct(), "both").df
+    front = Kept(stars.where("node = component").select("node", "component", F.lit(0).alias("step")), "front").df
+    seen = front
+    for step in range(1, max_rounds + 1):
+        reached = both.join(front, F.col("u") == F.col("node")).select(F.col("v").alias("to"), F.col("component").alias("c")).distinct()
+        fresh = reached.join(seen, F.col("to") == F.col("node"), "left_anti").select(F.col("to").alias("node"), F.col("c").alias("component"), F.lit(step).alias("step"))
+        front = Kept(fresh, "front").df
+        if front.isEmpty():
+            break
+        seen = seen.unionByName(front)
+    return seen.groupBy("component").agg(F.max("step").cast("long").alias("least_diameter"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphcc.sources.workloads import EDGES, duck_sql
+from graphcc.sources.workloads import EDGES, duck_sql, scrambled, turn_id
 
 
 def components_sql(edges_sql: str) -> str:
@@ -23,8 +23,8 @@ _CLOSED = {
     "w5": "SELECT vec_id AS node, min(vec_id) OVER (PARTITION BY label) AS component FROM embeddings QUALIFY count(*) OVER (PARTITION BY label) > 1",
     "w6": "SELECT event_id AS node, min(event_id) OVER (PARTITION BY user_id) AS component FROM events QUALIFY count(*) OVER (PARTITION BY user_id) > 1",
     "w7": "SELECT event_id AS node, min(event_id) OVER () AS component FROM events",
-    "w8": "SELECT event_id * 7919 % 1000003 AS node, min(event_id * 7919 % 1000003) OVER () AS component FROM events",
-    "w11": "SELECT conv_id * 100 + turn AS node, min(conv_id * 100 + turn) OVER (PARTITION BY conv_id) AS component FROM conversations QUALIFY count(*) OVER (PARTITION BY conv_id) > 1",
+    "w8": f"SELECT {scrambled('event_id')} AS node, min({scrambled('event_id')}) OVER () AS component FROM events",
+    "w11": f"SELECT {turn_id()} AS node, min({turn_id()}) OVER (PARTITION BY conv_id) AS component FROM conversations QUALIFY count(*) OVER (PARTITION BY conv_id) > 1",
 }
 
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from graphcc.plans.election import edge_seed, elect_round
@@ -18,12 +18,12 @@ class NotConverged(RuntimeError):
 
 
 def resolve(
-    live: DataFrame, election: str = "hash", strategy: str = "join", store: RoundStore | None = None, max_rounds: int = 200, tail_rows: int = 0, hub_limit: int = 1_000_000, run: Run | None = None
+    live: DataFrame, election: str = "hash", strategy: str = "auto", store: RoundStore | None = None, max_rounds: int = 200, tail_rows: int = 0, hub_limit: int = 1_000_000, run: Run | None = None, rows: int | None = None
 ) -> DataFrame:
     """Election rounds until no row is live; the forest ``(child, parent, round)``.
 
-    ``live`` is what phase 1 gave, already materialised or cheap to compute. Fewer than
-    ``tail_rows`` live rows are finished in one task, whose size that number bounds.
+    ``live`` is what phase 1 gave, already materialised or cheap to compute, ``rows`` its size if known. Fewer
+    than ``tail_rows`` live rows are finished in one task, whose size that number bounds.
     """
     run = run or Run()
     store = store or RoundStore(live.sparkSession)
@@ -37,22 +37,25 @@ def resolve(
             raise NotConverged(f"{n} live rows after {max_rounds} rounds")
         if n is not None and n < tail_rows:
             tail = now.select(F.col("child").alias("u"), F.col("parent").alias("v")).coalesce(1).mapInArrow(_kernel("star", "vector", MAX_LOCAL_NODES, False), "child long, parent long")
-            judged = tail.where("child <> parent").select(F.lit("resolved").alias("kind"), "child", "parent")
+            judged, groups = tail.where("child <> parent").select(F.lit("resolved").alias("kind"), "child", "parent"), None
         else:
-            judged = elect_round(now, election, strategy, hub_limit)
+            groups = Observation()
+            judged = elect_round(now, election, strategy, hub_limit, rows if n is None else n, groups)
         is_live = F.col("kind") == "live"
         out, seen = observed(judged, live=is_live, loops=is_live & (F.col("child") == F.col("parent")))
         with run.timed("elect", r):
             store.write(r, out)
         got = seen.get
-        run.add("elect", r, records=n or 0, resolved=got["n"] - got["live"], live=got["live"], self_links=got["loops"])
+        if groups is not None:
+            run.add("elect", r, groups=groups.get["groups"])
+        run.add("elect", r, records=n or rows or 0, resolved=got["n"] - got["live"], live=got["live"], self_links=got["loops"])
         n = got["live"]
     return store.forest()
 
 
 def spanning_forest(
     edges: DataFrame, local: bool = True, k: int | None = None, partitioning: str = "input", emit: str = "star", kernel: str = "vector", levels: int = 1,
-    max_local_nodes: int = MAX_LOCAL_NODES, seed: str = "min_id", election: str = "hash", strategy: str = "join", max_rounds: int = 200, tail_rows: int = 0,
+    max_local_nodes: int = MAX_LOCAL_NODES, seed: str = "min_id", election: str = "hash", strategy: str = "auto", max_rounds: int = 200, tail_rows: int = 0,
     hub_limit: int = 1_000_000, store: RoundStore | None = None, run: Run | None = None,
 ) -> DataFrame:
     """Phases 1 and 2: one parent for every node that is not a root, as ``(child, parent, round)``."""
@@ -72,7 +75,7 @@ def spanning_forest(
         live = store.seed(out)
     run.add("input", 0, edges=seen_in.get["n"])
     run.add("local", 0, pairs=seen.get["n"] - seen.get["loops"], self_links=seen.get["loops"])
-    return resolve(live, election, strategy, store, max_rounds, tail_rows, hub_limit, run)
+    return resolve(live, election, strategy, store, max_rounds, tail_rows, hub_limit, run, seen.get["n"])
 
 
 def connected_components(

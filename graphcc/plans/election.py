@@ -1,15 +1,16 @@
 """Phase 2, one round: all candidates of a child meet, one is elected, finished nodes leave.
 
 A round is one exchange by child. The state of a child is a pair of aggregates, never a
-list, so a child with billions of candidates costs no more memory than any other.
+list, so a child with billions of candidates costs no more memory than any other. Where a child has
+more than ``hub_limit`` candidates, they are not brought into one task either: ``auto`` finds that out first.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
-ELECTIONS, STRATEGIES = ("min", "max", "hash"), ("join", "window", "hub_broadcast", "salted")
+ELECTIONS, STRATEGIES = ("min", "max", "hash"), ("auto", "join", "window", "hub_broadcast", "salted")
 
 
 def preference(parent: Column, election: str) -> Column:
@@ -62,8 +63,21 @@ def _judged(live: DataFrame, election: str, strategy: str, hub_limit: int) -> Da
     raise ValueError(f"unknown strategy {strategy!r}")
 
 
-def elect_round(live: DataFrame, election: str = "hash", strategy: str = "join", hub_limit: int = 1_000_000) -> DataFrame:
-    """``(kind, child, parent)``: kind 'resolved' leaves for good, kind 'live' goes on.
+def largest_group(live: DataFrame) -> int:
+    """Candidates of the child with most of them, counted on the map side first."""
+    return live.groupBy("child").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+
+
+def choose_strategy(live: DataFrame, rows: int | None, hub_limit: int) -> str:
+    """One plain exchange while no child can have, or has, more than ``hub_limit`` candidates; else hubs apart."""
+    safe = rows is not None and rows <= hub_limit or largest_group(live) <= hub_limit
+    return "join" if safe else "hub_broadcast"
+
+
+def elect_round(
+    live: DataFrame, election: str = "hash", strategy: str = "auto", hub_limit: int = 1_000_000, rows: int | None = None, seen: Observation | None = None
+) -> DataFrame:
+    """``(kind, child, parent)``: kind 'resolved' leaves for good, kind 'live' goes on. ``seen`` gets the number of children.
 
     A child that met only itself disappears. One foreign parent: the pair is resolved. Several:
     every candidate, and the child, get the winner as parent; (winner, winner) renews its self-link.
@@ -74,4 +88,7 @@ def elect_round(live: DataFrame, election: str = "hash", strategy: str = "join",
 
     follow = F.when((F.col("parent") == F.col("winner")) & (F.col("child") != F.col("winner")), F.array(row("live", "parent", "winner"), row("live", "child", "winner")))
     out = F.when(F.col("many"), follow.otherwise(F.array(row("live", "parent", "winner")))).when(F.col("parent") != F.col("child"), F.array(row("resolved", "child", "parent")))
-    return _judged(live, election, strategy, hub_limit).select(F.inline(out))
+    judged = _judged(live, election, choose_strategy(live, rows, hub_limit) if strategy == "auto" else strategy, hub_limit)
+    if seen is not None:  # one row of each child has the winner
+        judged = judged.observe(seen, F.coalesce(F.sum((F.col("parent") == F.col("winner")).cast("long")), F.lit(0)).alias("groups"))
+    return judged.select(F.inline(out))

@@ -2,8 +2,8 @@
 
 The vector kernel hooks larger roots under smaller ones and jumps pointers in numpy; its
 result does not depend on the order of edges, so a retried task repeats it. The weighted
-kernel is the sequential structure, edge by edge. Memory is bounded: a task that has seen
-``max_local_nodes`` starts a new forest, which is the same as a finer split.
+kernel is the sequential structure, edge by edge. Memory is bounded: a task reduces its edges to a
+star from time to time, and one that holds ``max_local_nodes`` starts a new forest, the same as a finer split.
 """
 
 from __future__ import annotations
@@ -19,7 +19,9 @@ from pyspark.sql import functions as F
 from graphcc.baselines.sequential import DisjointSets
 
 PAIRS = "child long, parent long"
-MAX_LOCAL_NODES = 8_000_000
+MAX_LOCAL_NODES = 2_000_000
+#: Edges held before they are reduced to their star, at least: arrays of 16 MB each.
+REDUCE_ROWS = 1 << 20
 
 
 def local_roots(u: np.ndarray, v: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -66,7 +68,7 @@ def _kernel(emit: str, kernel: str, most: int, tagged: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task = TaskContext.get().partitionId()
         held: list[tuple[np.ndarray, np.ndarray]] = []
-        rows = 0
+        rows, last, reducible = 0, 0, kernel == "vector" and emit == "star"  # last: rows of the star among what is held
 
         def flush() -> Iterator[pa.RecordBatch]:
             u, v = (np.concatenate(x) for x in zip(*held, strict=True))
@@ -82,14 +84,13 @@ def _kernel(emit: str, kernel: str, most: int, tagged: bool):
             if len(u):
                 held.append((u, v))
                 rows += len(u)
-            if rows >= 2 * most:
-                if kernel == "vector" and emit == "star":
-                    # Reduce what is held to its star first; flush only if that stays large.
-                    held = [_star(*(np.concatenate(x) for x in zip(*held, strict=True)))]
-                    rows = len(held[0][0])
-                if rows >= most:
-                    yield from flush()
-                    held, rows = [], 0
+            if reducible and rows >= max(min(REDUCE_ROWS, 2 * most), 2 * last):
+                # Reduce what is held to its star first; flush only if that stays large.
+                held = [_star(*(np.concatenate(x) for x in zip(*held, strict=True)))]
+                last = rows = len(held[0][0])
+            if rows >= (most if reducible else 2 * most):
+                yield from flush()
+                held, rows, last = [], 0, 0
         if held:
             yield from flush()
 

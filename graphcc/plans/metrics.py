@@ -39,10 +39,16 @@ class Run:
         return spark.createDataFrame(self.rows, SCHEMA)
 
 
-def observed(df: DataFrame, **sums) -> tuple[DataFrame, Observation]:
-    """``df`` that reports its row count and the given sums when it is next computed."""
+def observed(df: DataFrame, fingerprint: list[str] | None = None, **sums) -> tuple[DataFrame, Observation]:
+    """``df`` that reports its row count and the given sums when it is next computed.
+
+    ``fingerprint`` adds the exclusive or of the rows' hashes over these columns: it cannot overflow, however many rows.
+    """
     seen = Observation()
-    return df.observe(seen, F.count(F.lit(1)).alias("n"), *[F.coalesce(F.sum(c.cast("long")), F.lit(0)).alias(k) for k, c in sums.items()]), seen
+    each = [F.coalesce(F.sum(c.cast("long")), F.lit(0)).alias(k) for k, c in sums.items()]
+    if fingerprint:
+        each.append(F.coalesce(F.bit_xor(F.xxhash64(*fingerprint)), F.lit(0)).alias("fingerprint"))
+    return df.observe(seen, F.count(F.lit(1)).alias("n"), *each), seen
 
 
 def local_reduction(run: Run) -> dict[str, float]:
@@ -51,6 +57,22 @@ def local_reduction(run: Run) -> dict[str, float]:
     return {"pairs": 1 - pairs / (2 * n), "with_self_links": 1 - (pairs + loops) / (2 * n)} if n else {"pairs": 0.0, "with_self_links": 0.0}
 
 
+def prune_rates(run: Run) -> dict[int, float]:
+    """By round: the share of children that met a single foreign parent and left for good."""
+    rounds = range(1, run.rounds() + 1)
+    return {r: run.value("elect", "resolved", r) / n for r in rounds if (n := run.value("elect", "groups", r))}
+
+
+def speedups(edges: int, seconds: dict[str, float], ours: str) -> list[tuple[str, float, float, float]]:
+    """``(method, seconds, how many times ours is faster, edges a second)`` of one input."""
+    return [(name, s, s / seconds[ours], edges / s) for name, s in seconds.items()]
+
+
+def doubling_efficiency(sizes: list[tuple[int, float]]) -> list[float]:
+    """Growth of edges over growth of seconds, from each size to the next: 1 is linear, more is better."""
+    return [(b / a) / (t / s) for (a, s), (b, t) in zip(sizes, sizes[1:], strict=False)]
+
+
 def compute_cost(executors: int, memory_gb: float, seconds: float) -> float:
     """GB-hours of executor memory held."""
     return executors * memory_gb * seconds / 3600

@@ -9,10 +9,11 @@ from pyspark.sql import functions as F
 
 from graphcc.baselines import star_contraction
 from graphcc.oracles import components_sql, workload_sql
-from graphcc.plans.components import connected_components, spanning_forest
+from graphcc.plans.components import connected_components, resolve, spanning_forest
 from graphcc.plans.election import edge_seed, elect_round
-from graphcc.plans.local_forest import local_forest
-from graphcc.plans.metrics import Run
+from graphcc.plans.flatten import tree_shape
+from graphcc.plans.local_forest import local_forest, place
+from graphcc.plans.metrics import Run, compute_cost, partition_profile, prune_rates, speedups
 from graphcc.sources.workloads import EDGES, duck_sql, edges, replicate
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -40,6 +41,7 @@ VARIANTS = {
     "elect_hash": {"election": "hash"}, "flush": {"max_local_nodes": 500}, "two_level": {"levels": 2, "k": 16, "partitioning": "hash"}, "tail": {"tail_rows": 2000, "k": 8, "partitioning": "hash"},
     "window_strategy": {"strategy": "window"}, "hub_broadcast": {"strategy": "hub_broadcast", "hub_limit": 8, "k": 8, "partitioning": "round_robin"}, "salted": {"strategy": "salted", "hub_limit": 8, "k": 8, "partitioning": "round_robin"},
     "flatten_doubling": {"flatten_method": "doubling"}, "flatten_min_neighbour": {"flatten_method": "min_neighbour"},
+    "flatten_min_neighbour_pruned": {"flatten_method": "min_neighbour_pruned"}, "strategy_auto": {"strategy": "auto", "hub_limit": 8, "k": 8, "partitioning": "round_robin"},
 }
 for _n, _o in VARIANTS.items():
     register(f"cc_lfpe_{_n}", _components("w2b", **_o), workload_sql("w2b"))
@@ -185,7 +187,10 @@ register("metrics_w3", _metrics)
 
 def _scenarios(spark: SparkSession, d: str, k: int = 1) -> DataFrame:
     """After phase 1 in ``k`` tasks: nodes by in how many of them they are parents and children."""
-    tagged = local_forest(edges(spark, d, "w2"), k, "hash", tagged=True)
+    return _roles(local_forest(edges(spark, d, "w2"), k, "hash", tagged=True))
+
+
+def _roles(tagged: DataFrame) -> DataFrame:
     parent = F.col("child") == F.col("parent")
     per = tagged.groupBy(F.col("child").alias("node")).agg(F.countDistinct(F.when(parent, F.col("task"))).alias("as_parent"), F.countDistinct(F.when(~parent, F.col("task"))).alias("as_child"))
     return per.groupBy("as_parent", "as_child").agg(F.count(F.lit(1)).alias("nodes"))
@@ -199,7 +204,10 @@ register(
 
 def _local_reduction(spark: SparkSession, d: str, k: int = 1) -> DataFrame:
     """What ``k`` local forests leave of the edges: a pair for each node that is no root of one, a self-link for each root."""
-    pairs = local_forest(edges(spark, d, "w2"), k, "hash")
+    return _left_over(local_forest(edges(spark, d, "w2"), k, "hash"))
+
+
+def _left_over(pairs: DataFrame) -> DataFrame:
     loops = (F.col("child") == F.col("parent")).cast("long")
     return pairs.agg(F.sum(1 - loops).alias("pairs"), F.sum(loops).alias("self_links"))
 
@@ -236,3 +244,96 @@ for _w in ("w3", "w6", "w7"):
 # Phase 1 in eight tasks, where nodes can be in several; no SQL deals rows as Spark does.
 register("proof_scenarios_w2_k8", lambda spark, d: _scenarios(spark, d, 8))
 register("local_reduction_w2_k8", lambda spark, d: _local_reduction(spark, d, 8))
+
+
+# Measures.
+def _prunes(spark: SparkSession, d: str) -> DataFrame:
+    """The first round of smallest-id election without a local phase: children, those that leave, their share."""
+    run = Run()
+    resolve(_seeded(spark, d, "w2").distinct(), "min", run=run)
+    groups, gone = (int(run.value("elect", m, 1)) for m in ("groups", "resolved"))
+    return spark.createDataFrame([(groups, gone, round(prune_rates(run)[1], 6))], "groups long, resolved long, prune_rate double")
+
+
+register(
+    "prune_rate_w2", _prunes,
+    f"{_LOW} SELECT count(*)::BIGINT AS groups, sum((lo = hi AND lo <> child)::INT)::BIGINT AS resolved, round(sum((lo = hi AND lo <> child)::INT) / count(*), 6) AS prune_rate FROM g",
+)
+
+
+def _partition_skew(spark: SparkSession, d: str) -> DataFrame:
+    """Edges dealt to eight partitions in turn: how many partitions, rows of the mean one, links of the order with most."""
+    profile = partition_profile(place(edges(spark, d, "w3"), "round_robin", 8), "u")
+    return profile.select("partitions", "mean", "largest_group", (F.col("most") <= F.col("mean") * 1.5).alias("even"))
+
+
+_W3 = duck_sql(EDGES["w3"])
+register(
+    "partition_skew_w3", _partition_skew,
+    f"SELECT 8::BIGINT AS partitions, count(*) / 8.0::DOUBLE AS mean, (SELECT max(n) FROM (SELECT count(*) AS n FROM ({_W3}) f GROUP BY u))::BIGINT AS largest_group, true AS even FROM ({_W3}) e",
+)
+
+
+def _shape(workload: str, **options):
+    return lambda spark, d: tree_shape(spanning_forest(edges(spark, d, workload), **options))
+
+
+# One local forest is made of stars already; of several, trees are left for the last phase.
+register(
+    "tree_shape_w2b_k1", _shape("w2b", k=1, partitioning="hash"),
+    f"SELECT (count(*) - count(DISTINCT component))::BIGINT AS nodes, 1::BIGINT AS max_depth, (count(*) - count(DISTINCT component))::BIGINT AS at_depth_1 FROM ({workload_sql('w2b')})",
+)
+register("tree_shape_w2b_k8", _shape("w2b", k=8, partitioning="hash"))
+register("tree_shape_w6_no_local", _shape("w6", local=False))
+
+
+def _metrics_summary(spark: SparkSession, d: str) -> DataFrame:
+    """What must come out of a run's measures whatever the placement: edges in, nodes that left in some round, an end."""
+    run = Run("w3")
+    connected_components(edges(spark, d, "w3"), k=8, partitioning="round_robin", run=run)
+    row = int(run.value("input", "edges")), int(run.value("elect", "resolved")), int(run.value("elect", "live", run.rounds())), run.converged
+    return spark.createDataFrame([row], "edges long, resolved long, left_live long, converged boolean")
+
+
+register(
+    "metrics_summary_w3", _metrics_summary,
+    f"SELECT (SELECT count(*) FROM ({_W3}) e)::BIGINT AS edges, (count(*) - count(DISTINCT component))::BIGINT AS resolved, 0::BIGINT AS left_live, true AS converged FROM ({workload_sql('w3')})",
+)
+
+_COMPARED = {"lfpe": {}, "lfpe_no_local": {}, "star_contraction": {}, "label_propagation": {}}
+
+
+def _speedups(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds of each method, how many times the full method is faster, edges a second, and memory held for it."""
+    from graphcc.experiments import measure
+
+    e = edges(spark, d, "w2b")
+    n, took = e.count(), {name: measure(e, method=name, **o)["seconds"] for name, o in _COMPARED.items()}
+    rows = [(*r, compute_cost(1, 4.0, r[1])) for r in speedups(n, took, "lfpe")]
+    return spark.createDataFrame(rows, "method string, seconds double, speed_up double, edges_per_second double, gb_hours double")
+
+
+register("speedup_and_cost_w2b", _speedups)
+
+# Phase 1 over three partitions that SQL can deal too: order numbers modulo 3.
+_PARTS = 3
+_FAR = 10**12
+
+
+def _three_parts(spark: SparkSession, d: str) -> DataFrame:
+    e = edges(spark, d, "w2")
+    lands = spark.range(100).select("id", F.pmod(F.hash("id"), F.lit(_PARTS)).alias("p")).groupBy("p").agg(F.min("id").alias("id")).orderBy("p").collect()
+    key = F.element_at(F.array(*[F.lit(r.id).cast("long") for r in lands]), (F.col("u") / 2 % _PARTS).cast("int") + 1)  # a key for each partition
+    return e.repartition(_PARTS, key)
+
+
+_DEALT = components_sql(f"SELECT u + u // 2 % {_PARTS} * {_FAR} AS u, v + u // 2 % {_PARTS} * {_FAR} AS v FROM ({_B}) b")
+_ROLES = f"r AS (SELECT node % {_FAR} AS node, count(*) FILTER (node = component) AS as_parent, count(*) FILTER (node <> component) AS as_child FROM ({_DEALT}) x GROUP BY 1)"
+register(
+    "proof_scenarios_w2_k3", lambda spark, d: _roles(local_forest(_three_parts(spark, d), tagged=True)),
+    f"WITH {_ROLES} SELECT as_parent::BIGINT AS as_parent, as_child::BIGINT AS as_child, count(*)::BIGINT AS nodes FROM r GROUP BY ALL",
+)
+register(
+    "local_reduction_w2_k3", lambda spark, d: _left_over(local_forest(_three_parts(spark, d))),
+    f"WITH {_ROLES} SELECT sum(as_child)::BIGINT AS pairs, sum(as_parent)::BIGINT AS self_links FROM r",
+)

@@ -9,7 +9,6 @@ gets a temporary folder of its own.
 from __future__ import annotations
 
 import atexit
-import gc
 import shutil
 import tempfile
 import uuid
@@ -61,15 +60,20 @@ ARROW_BYTES = 8 << 20
 
 
 @contextmanager
-def small_batches(spark: SparkSession, most: int = ARROW_BYTES) -> Iterator[None]:
-    """Python workers get batches of at most ``most`` bytes inside; the session's own setting holds again after it."""
-    name = "spark.sql.execution.arrow.maxBytesPerBatch"
-    before = spark.conf.get(name, None)
-    spark.conf.set(name, str(most))
+def computed_at_once(spark: SparkSession) -> Iterator[None]:
+    """Inside, Python workers get batches of at most ``ARROW_BYTES``, and a query's shuffle files go when it has ended.
+
+    The session's own settings hold again after it.
+    """
+    wanted = {"spark.sql.execution.arrow.maxBytesPerBatch": str(ARROW_BYTES), "spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true"}
+    before = {name: spark.conf.get(name, None) for name in wanted}
+    for name, value in wanted.items():
+        spark.conf.set(name, value)
     try:
         yield
     finally:
-        spark.conf.unset(name) if before is None else spark.conf.set(name, before)
+        for name, value in before.items():
+            spark.conf.unset(name) if value is None else spark.conf.set(name, value)
 
 
 class Kept:
@@ -79,7 +83,7 @@ class Kept:
         self.spark = df.sparkSession
         self.path = scratch_path(self.spark, name)
         out = df.write.mode("overwrite")
-        with small_batches(self.spark):
+        with computed_at_once(self.spark):
             (out.partitionBy(*partition_by) if partition_by else out).parquet(self.path)
         schema = df.schema
         self.df = self.spark.read.schema(schema).parquet(self.path)
@@ -88,12 +92,6 @@ class Kept:
         remove(self.spark, self.path)
 
 
-def release_shuffles(spark: SparkSession) -> None:
-    """Let Spark's cleaner delete shuffle files of finished steps now, not at its next half-hourly collection."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
-
-
 def keep(df: DataFrame, name: str = "table") -> DataFrame:
     """``df`` as a table in the shared folder: computed once, lineage cut, sizes known to the planner."""
     return Kept(df, name).df

@@ -3,7 +3,8 @@
 State lives in two tables in shared storage. ``nodes`` is append-only: every node with the root it had when it
 first came, one folder a batch. ``roots`` maps these roots to the current components and is written anew,
 as a version, by each batch: it holds roots only, so merging two components of a billion nodes rewrites
-two rows. A batch works on the contracted graph of its edges' ends, then commits by its version's success
+two rows. Node folders are folded into one, sorted by node, every ``FOLD_EVERY`` batches; a batch reads
+the two columns of all nodes once to find its own. A batch works on the contracted graph of its edges' ends, then commits by its version's success
 mark; run again, it overwrites its own folders. Union is commutative and monotone, so late edges need no retraction.
 """
 
@@ -18,16 +19,39 @@ from graphcc.schema import check_edges
 from graphcc.session import Kept, exists, remove, scratch_path
 
 
+#: Batches after which their folders of nodes become one, so that a batch reads few folders however many came before.
+FOLD_EVERY = 16
+
+
 class ComponentState:
     def __init__(self, spark: SparkSession, path: str):
         self.spark, self.path = spark, path.rstrip("/")
 
-    def _versions(self) -> list[int]:
+    def _names(self, kind: str) -> list[str]:
         jvm = self.spark.sparkContext._jvm
-        top = jvm.org.apache.hadoop.fs.Path(f"{self.path}/roots")
+        top = jvm.org.apache.hadoop.fs.Path(f"{self.path}/{kind}")
         fs = top.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
-        names = [s.getPath().getName() for s in fs.listStatus(top)] if fs.exists(top) else []
-        return sorted(int(n) for n in names if exists(self.spark, f"{self.path}/roots/{n}/_SUCCESS"))
+        return [s.getPath().getName() for s in fs.listStatus(top)] if fs.exists(top) else []
+
+    def _versions(self) -> list[int]:
+        return sorted(int(n) for n in self._names("roots") if exists(self.spark, f"{self.path}/roots/{n}/_SUCCESS"))
+
+    def _node_folders(self, last: int) -> list[str]:
+        """Folders that hold the nodes of batches up to ``last``: the newest folded one, and those of later batches."""
+        names = self._names("nodes")
+        folded = [int(n[5:]) for n in names if n.startswith("upto-") and int(n[5:]) <= last and exists(self.spark, f"{self.path}/nodes/{n}/_SUCCESS")]
+        base = max(folded, default=-1)
+        return ([f"upto-{base}"] if folded else []) + [n for n in names if n.isdigit() and base < int(n) <= last]
+
+    def fold(self, last: int) -> None:
+        """Bring the nodes of batches up to ``last`` into one folder, sorted by node, then drop what it replaces."""
+        names = self._node_folders(last)
+        if len(names) < 2:
+            return
+        nodes = self.spark.read.schema("node long, root long").parquet(*[f"{self.path}/nodes/{n}" for n in names])
+        nodes.repartitionByRange("node").sortWithinPartitions("node").write.mode("overwrite").parquet(f"{self.path}/nodes/upto-{last}")
+        for n in names:
+            remove(self.spark, f"{self.path}/nodes/{n}")
 
     def _read(self, below: int | None = None) -> tuple[DataFrame, DataFrame]:
         """``nodes(node, root)`` and ``roots(root, component)`` as of the last committed batch before ``below``."""
@@ -35,7 +59,7 @@ class ComponentState:
         nodes = self.spark.createDataFrame([], "node long, root long")
         if not done:
             return nodes, self.spark.createDataFrame([], "root long, component long")
-        made = [p for v in range(done[-1] + 1) if exists(self.spark, p := f"{self.path}/nodes/{v}")]
+        made = [f"{self.path}/nodes/{name}" for name in self._node_folders(done[-1])]
         nodes = self.spark.read.schema("node long, root long").parquet(*made) if made else nodes
         return nodes, self.spark.read.schema("root long, component long").parquet(f"{self.path}/roots/{done[-1]}")
 
@@ -65,6 +89,8 @@ class ComponentState:
         for v in self._versions():
             if v < batch_id - 1:  # the last two versions stay: one may be needed to repeat a batch
                 remove(self.spark, f"{self.path}/roots/{v}")
+        if batch_id % FOLD_EVERY == FOLD_EVERY - 1:
+            self.fold(batch_id - 1)  # the last batch may have to be repeated
 
 
 def incremental_components(edge_stream: DataFrame, state_path: str, checkpoint: str | None = None, **options) -> StreamingQuery:

@@ -68,7 +68,7 @@ def _(spark, d):
 def _(spark, d):
     path = scratch_path(spark, "components")
     late = edges(spark, d, "w2b").withColumn("arrives", F.xxhash64("v", "u"))  # edges come in no useful order
-    incremental_components(sliced(late, "arrives", 3), path, tail_rows=100_000).awaitTermination()
+    incremental_components(sliced(late, "arrives", 3), path).awaitTermination()  # all rounds, no tail in one task
     return ComponentState(spark, path).components()
 
 

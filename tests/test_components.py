@@ -11,15 +11,18 @@ from graphcc.baselines import star_contraction
 from graphcc.baselines.sequential import DisjointSets, union_find
 from graphcc.functions.ids import dictionary, digest128, tagged
 from graphcc.plans.components import NotConverged, connected_components, spanning_forest
-from graphcc.plans.election import edge_seed, elect_round
-from graphcc.plans.flatten import canonical, flatten
+from graphcc.operators.graph_results import diameter_hint
+from graphcc.plans.election import choose_strategy, edge_seed, elect_round, largest_group
+from graphcc.plans.flatten import canonical, flatten, tree_shape
 from graphcc.plans.local_forest import local_forest, local_roots
-from graphcc.plans.metrics import Run, local_reduction
+from graphcc.plans.metrics import Run, doubling_efficiency, local_reduction, observed, partition_profile, prune_rates, speedups
 from graphcc.plans.store import RoundStore
 from graphcc.schema import canonicalize, dropped_edges
 from graphcc.sources import synthetic
 from graphcc.sources.workloads import edges as workload
 from graphcc.sources.workloads import replicate
+from graphcc.streaming.incremental import ComponentState, incremental_components
+from graphcc.streaming.queries import settle
 
 
 def graph(spark, pairs, parts=None):
@@ -249,3 +252,87 @@ def test_a_round_is_one_exchange_by_child(spark):
 
     plan = elect_round(Kept(live).df)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("Exchange hashpartitioning(child") <= 2 and "rangepartitioning" not in plan
+
+
+def test_fingerprint_of_many_large_hashes_does_not_overflow(spark):
+    out, seen = observed(spark.range(200_000).selectExpr("id + 9000000000000000000 AS u", "id AS v"), ["u", "v"])
+    assert out.count() == 200_000 and seen.get["fingerprint"] != 0
+    plain = spark.range(2).selectExpr("9223372036854775807 AS x").agg(F.sum("x"))
+    with pytest.raises(Exception, match="OVERFLOW"):  # why it is no sum
+        plain.collect()
+
+
+def test_pruned_flattening_keeps_groups_that_hang_below_others(spark):
+    forest = [(5, 4), (6, 4), (4, 2), (3, 2), (2, 1), (20, 10), (21, 10), (31, 30)]
+    want = {5: 1, 6: 1, 4: 1, 3: 1, 2: 1, 20: 10, 21: 10, 31: 30}
+    df = spark.createDataFrame(forest, "child long, parent long")
+    for method in ("doubling", "min_neighbour", "min_neighbour_pruned"):
+        run = Run()
+        assert rows(flatten(df, method, run)) == want
+        if method == "doubling":  # finished pairs do not move again
+            assert [run.value("flatten", "records", r) for r in range(1, run.rounds("flatten") + 1)] == [8, 4]
+    assert tree_shape(df).first().asDict() == {"nodes": 8, "max_depth": 3, "at_depth_1": 4}
+
+
+def test_auto_strategy_sets_hubs_apart_only_where_there_are_some(spark):
+    star = spark.createDataFrame([(0, i) for i in range(1, 60)] + [(i, i) for i in range(60)], "child long, parent long")
+    assert largest_group(star) == 60
+    assert choose_strategy(star, None, 59) == "hub_broadcast" and choose_strategy(star, None, 60) == "join" and choose_strategy(star, 50, 50) == "join"
+    plan = elect_round(star, strategy="auto", hub_limit=20)._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan
+
+
+def test_prune_rates_and_speedups():
+    run = Run()
+    run.add("elect", 1, groups=8, resolved=2)
+    run.add("elect", 2, groups=4, resolved=4)
+    assert prune_rates(run) == {1: 0.25, 2: 1.0}
+    assert speedups(100, {"a": 2.0, "b": 5.0}, "a") == [("a", 2.0, 1.0, 50.0), ("b", 5.0, 2.5, 20.0)]
+    assert doubling_efficiency([(10, 1.0), (20, 2.0), (40, 2.0)]) == [1.0, 2.0]
+
+
+def test_partition_profile(spark):
+    df = spark.createDataFrame([(i % 3,) for i in range(90)], "g long").repartition(9)
+    got = partition_profile(df, "g").first()
+    assert (got.partitions, got.mean, got.largest_group) == (9, 10.0, 30) and got.most >= 10
+
+
+def test_diameter_hint(spark):
+    chain, ring = [(i, i + 1) for i in range(7)], [(100 + i, 100 + (i + 1) % 6) for i in range(6)]
+    e = graph(spark, chain + ring)
+    got = {r.component: r.least_diameter for r in diameter_hint(e, connected_components(e)).collect()}
+    assert got == {0: 7, 100: 3}
+
+
+def test_state_folds_its_folders_and_a_restart_repeats_nothing(spark, tmp_path):
+    state, pairs = ComponentState(spark, str(tmp_path / "state")), []
+    for b in range(5):
+        batch = [(b * 10 + i, b * 10 + i + 1) for i in range(3)] + ([(b * 10, b * 10 - 7)] if b else [])
+        pairs += batch
+        state.apply(graph(spark, batch), b)
+        if b == 3:
+            state.fold(2)
+            state.apply(graph(spark, batch), b)  # a batch once more
+    assert len(state._node_folders(4)) == 3 and rows(state.components()) == brute(pairs)
+
+
+def test_stream_restarts_from_its_checkpoint(spark, tmp_path):
+    source, checkpoint, state = str(tmp_path / "in"), str(tmp_path / "checkpoint"), str(tmp_path / "state")
+    graph(spark, [(1, 2), (5, 6)]).coalesce(1).write.parquet(source)
+    for more in ([], [(2, 5)], [(9, 10)]):
+        if more:
+            graph(spark, more).coalesce(1).write.mode("append").parquet(source)
+        stream = spark.readStream.schema("u long, v long").parquet(source)
+        incremental_components(stream, state, checkpoint).awaitTermination()
+    assert rows(ComponentState(spark, state).components()) == {1: 1, 2: 1, 5: 1, 6: 1, 9: 9, 10: 9}
+    assert ComponentState(spark, state)._versions()[-1] == 2
+
+
+def test_late_rows_are_dropped_behind_the_watermark(spark, tmp_path):
+    source = str(tmp_path / "in")
+    for i, ts in enumerate(["2024-01-01 00:00:10", "2024-01-01 05:00:00", "2024-01-01 05:30:00", "2024-01-01 00:00:20", "2024-01-01 09:00:00"]):
+        spark.createDataFrame([(i, ts)], "id long, t string").selectExpr("id", "CAST(t AS timestamp) AS ts").coalesce(1).write.mode("append").parquet(source)
+    stream = spark.readStream.schema("id long, ts timestamp").option("maxFilesPerTrigger", 1).parquet(source)
+    per = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n"))
+    got = {r.window.start.hour: r.n for r in settle(per).collect()}
+    assert got == {0: 1, 5: 2}  # the second row of hour 0 came five hours late
