@@ -35,7 +35,7 @@ from pyspark.sql import functions as F
 from graphcc.llm import bloom
 from graphcc.llm import words as W
 from graphcc.plans.components import connected_components
-from graphcc.session import Kept, small_batches
+from graphcc.session import Kept, computed_at_once
 
 #: The sketch has 2**18 cells, and more for a larger corpus (a cell to 2**9 shingles) up to 2**20: 4 MB.
 SKETCH_BITS, MOST_SKETCH_BITS, MOST_L, VERIFY_COST = 18, 20, 4, 8.0
@@ -91,7 +91,7 @@ def _counts(k: int, bits: int):
 def frequency_sketch(docs: DataFrame, k: int, bits: int = SKETCH_BITS) -> np.ndarray:
     """Shingles of all documents counted by the first ``bits`` of their hash: 2**bits numbers, whatever the corpus."""
     per = docs.select("text").mapInArrow(_counts(k, bits), "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n"))
-    with small_batches(docs.sparkSession):
+    with computed_at_once(docs.sparkSession):
         got = per.toPandas()
     out = np.zeros(1 << bits, np.int32)
     out[got["bucket"].to_numpy(np.int64)] = np.minimum(got["n"].to_numpy(np.int64), 2**31 - 1)

@@ -7,7 +7,8 @@ hash reads the decoded samples: box-averaged to 32 x 32, cosine-transformed, and
 the 8 x 8 lowest frequencies compared with their median.
 
 Null text counts as empty; empty text gives 64 zero bytes. Null doc_id and repeated
-rows are kept, extra columns ignored; equal texts give equal values.
+rows are kept, extra columns ignored; equal texts give equal values. A very long text takes a few
+times its own size in memory while it is written or read.
 """
 
 from __future__ import annotations
@@ -48,32 +49,40 @@ def encode_png(payload: bytes, width: int = WIDTH, level: int = 3) -> bytes:
     return SIGNATURE + _chunk(b"IHDR", head) + _chunk(b"IDAT", zlib.compress(lines.tobytes(), level)) + _chunk(b"IEND", b"")
 
 
+def _diagonals(kind: np.ndarray, rows: np.ndarray, above: np.ndarray) -> np.ndarray:
+    """Rows of the Average (3) and Paeth (4) filters undone: what lies on one diagonal depends on earlier diagonals only."""
+    height, width = rows.shape
+    out = np.zeros((height + 1, width + 1), np.int16)  # with the row above, and a column of zeros on the left
+    out[0, 1:] = above
+    average = kind == 3
+    for d in range(height + width - 1):
+        i = np.arange(max(0, d - width + 1), min(height, d + 1))
+        j = d - i
+        left, up, corner = out[i + 1, j], out[i, j + 1], out[i, j]
+        p = left + up - corner
+        a, b, c = np.abs(p - left), np.abs(p - up), np.abs(p - corner)
+        paeth = np.where((a <= b) & (a <= c), left, np.where(b <= c, up, corner))
+        out[i + 1, j + 1] = rows[i, j] + np.where(average[i], (left + up) // 2, paeth) & 255
+    return out[1:, 1:].astype(np.uint8)
+
+
 def _unfilter(kinds: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    if len(kinds) and kinds.max() > 4:
+        raise ValueError(f"unknown PNG filter {kinds.max()}")
     out = np.empty_like(rows)
-    cuts = [0, *(np.flatnonzero(kinds[1:] != kinds[:-1]) + 1).tolist(), len(kinds)]
+    group = np.where(kinds >= 3, 3, kinds)
+    cuts = [0, *(np.flatnonzero(group[1:] != group[:-1]) + 1).tolist(), len(kinds)]
     for a, b in zip(cuts[:-1], cuts[1:], strict=True):
         above = out[a - 1] if a else np.zeros(rows.shape[1], np.uint8)
-        kind = kinds[a]
-        if kind == 0:
+        if group[a] == 0:
             out[a:b] = rows[a:b]
-        elif kind == 1:
+        elif group[a] == 1:
             np.cumsum(rows[a:b], axis=1, dtype=np.uint8, out=out[a:b])
-        elif kind == 2:
+        elif group[a] == 2:
             np.cumsum(rows[a:b], axis=0, dtype=np.uint8, out=out[a:b])
             out[a:b] += above
-        elif kind in (3, 4):
-            for i in range(a, b):
-                left = corner = 0
-                for j, (v, up) in enumerate(zip(rows[i].tolist(), (out[i - 1] if i else above).tolist(), strict=True)):
-                    if kind == 3:
-                        guess = (left + up) // 2
-                    else:
-                        p = left + up - corner
-                        guess = min(((abs(p - left), 0, left), (abs(p - up), 1, up), (abs(p - corner), 2, corner)))[2]
-                    left, corner = (v + guess) & 255, up
-                    out[i, j] = left
         else:
-            raise ValueError(f"unknown PNG filter {kind}")
+            out[a:b] = _diagonals(kinds[a:b], rows[a:b], above)
     return out
 
 
@@ -103,17 +112,19 @@ def decode_png(data: bytes) -> np.ndarray:
     raise ValueError("cut short")
 
 
-def cosine_hash(img: np.ndarray) -> bytes:
-    """64 bits: which of the lowest 8 x 8 cosine coefficients lie above their median."""
+def _shrink(x: np.ndarray) -> np.ndarray:
+    """``SIDE`` means over equal stretches of rows; a row that two stretches share counts in both by its parts."""
+    edge = np.arange(SIDE + 1) * (len(x) / SIDE)
+    out = np.zeros((SIDE, x.shape[1]))
+    for i, (a, b) in enumerate(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)):
+        first, last = int(a), min(int(np.ceil(b)), len(x))
+        out[i] = x[first:last].sum(axis=0, dtype=np.float64) - (a - first) * x[first] - (last - b) * x[last - 1]
+    return out * (SIDE / len(x))
 
-    def shrink(x: np.ndarray) -> np.ndarray:
-        edge = np.arange(SIDE + 1) * (len(x) / SIDE)
-        low = np.minimum(edge.astype(np.int64), len(x) - 1)
-        c = np.zeros((len(x) + 1, x.shape[1]))
-        np.cumsum(x, axis=0, out=c[1:])
-        return np.diff(c[low] + (edge - low)[:, None] * x[low], axis=0) * (SIDE / len(x))
 
-    small = shrink(shrink(img.astype(np.float64)).T).T
+def cosine_hash(img: np.ndarray) -> bytes:
+    """64 bits: which of the lowest 8 x 8 cosine coefficients lie above their median. Works in memory of a fixed size."""
+    small = _shrink(_shrink(img).T).T
     low = np.round(_DCT @ small @ _DCT.T, 4).ravel()
     return np.packbits(low > np.median(low[1:])).tobytes()
 

@@ -4,10 +4,12 @@ Targets: sources share all words by weight; none may exceed ``cap`` times its ow
 and the excess goes to the others by weight until none is above. Ordering sources by the
 level at which they saturate turns that into prefix sums over the (small) source table.
 
-Training positions: a source's share of the mix changes linearly over training time
-t in [0, 1], as w(t) = d * (1 + slope * (2t - 1)), d its target. The integrated demand is
-D(t) = d * (t + slope * (t*t - t)); a copy whose words begin at cumulative demand c gets the
-position t with D(t) = c, a quadratic's root. Documents are then range-sorted by position.
+Training positions: a source's weight changes linearly over a schedule's time t in [0, 1], as
+w(t) = d * (1 + slope * (2t - 1)), d its target. The integrated demand is D(t) = d * (t + slope * (t*t - t));
+a copy whose words begin at cumulative demand c belongs to the t with D(t) = c, a quadratic's root. Its
+position is the part of all words due by then, t + drift * (t*t - t), drift being the mean slope weighted by
+target: so equal spans of positions hold equal words, a source has the share w(t) / (sum of all w(t)) of them, and all
+targets are met at position 1. Documents are then range-sorted by position.
 
 Which documents a source takes: all of them floor(f) times, f = target / size, and once more
 those first in a fixed pseudo-random order until the target is met within one document.
@@ -15,7 +17,8 @@ Cumulative sizes come from hash strata: per-stratum sums, then a running sum ins
 stratum, so that a source with a third of all rows is still spread over all tasks.
 
 Null text has size 0; a null source is a source of its own, sorted last. Repeated rows are
-mixed one by one; extra columns are ignored. Documents of size 0 are taken with 0 words.
+mixed one by one; extra columns are ignored. Documents of size 0 are taken with 0 words. The table of sources, one
+row each, is sorted in one task; it is broadcast only where the planner finds it small.
 """
 
 from __future__ import annotations
@@ -74,7 +77,9 @@ def plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP,
     base = per.withColumn("base", F.sum("stratum_size").over(Window.partitionBy("source").orderBy("stratum")) - F.col("stratum_size"))
     goal = targets(per.groupBy("source").agg(F.sum("stratum_size").alias("source_size")), weights, cap)
     slope = F.element_at(F.array(*[F.lit(float(s)) for s in slopes]), (F.pmod(F.col("source_rank") - 1, F.lit(len(slopes))) + 1).cast("int"))
-    where = base.join(F.broadcast(goal), base["source"].eqNullSafe(goal["source"])).select(base["source"].alias("s"), base["stratum"].alias("k"), "base", "source_size", "target", slope.alias("slope"))
+    drift = F.coalesce(F.sum(F.col("target") * F.col("slope")).over(Window.partitionBy()) / F.sum("target").over(Window.partitionBy()), F.lit(0.0))
+    goal = goal.withColumn("slope", slope).withColumn("drift", drift)
+    where = base.join(goal, base["source"].eqNullSafe(goal["source"])).select(base["source"].alias("s"), base["stratum"].alias("k"), "base", "source_size", "target", "slope", "drift")
     running = Window.partitionBy("source", "stratum").orderBy("order_key", "size", *also).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     inside = rows.withColumn("run", F.sum("size").over(running) - F.col("size"))
     joined = inside.join(where, F.col("source").eqNullSafe(F.col("s")) & (F.col("stratum") == F.col("k"))).withColumn("before", F.col("base") + F.col("run"))
@@ -83,12 +88,18 @@ def plan(sized: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: float = CAP,
     extra = F.col("before") + F.col("size") / 2 < F.col("target") - F.col("whole") * F.col("source_size")
     copies = F.least(F.col("whole") + F.when(extra, 1).otherwise(0), F.lit(int(cap)))
     out = joined.withColumn("whole", whole).withColumn("copies", copies.cast("long")).withColumn("taken", F.col("copies") * F.col("size"))
-    return out.withColumn("position", position(F.col("before"), F.col("target"), F.col("slope"))).select(
-        "doc_id", "source", "size", "source_size", "target", "taken", "copies", "before", "slope", "position", *also
+    return out.withColumn("position", position(F.col("before"), F.col("target"), F.col("slope"), F.col("drift"))).select(
+        "doc_id", "source", "size", "source_size", "target", "taken", "copies", "before", "slope", "drift", "position", *also
     )
 
 
-def position(demand, target, slope):
+def position(demand, target, slope, drift):
+    """The part of all words due when the integrated schedule of a source reaches ``demand``."""
+    t = due(demand, target, slope)
+    return t + drift * (t * t - t)
+
+
+def due(demand, target, slope):
     """The time t in [0, 1] at which the integrated schedule of a source reaches ``demand``."""
     share = F.when(target > 0, F.least(demand / target, F.lit(1.0))).otherwise(F.lit(0.0))
     b = 1 - slope
@@ -105,9 +116,9 @@ def mix(docs: DataFrame, **options) -> DataFrame:
     key = F.monotonically_increasing_id()
     rows = docs.withColumn("__row", key)
     counted = keep(rows.select("__row", "doc_id", "source", n_words(F.col("text")).alias("size"), F.spark_partition_id().alias("split")), "sizes")
-    planned = plan(counted, also=("__row",), **options).where("copies > 0").select("__row", "source_size", "target", "copies", "before", "slope")
+    planned = plan(counted, also=("__row",), **options).where("copies > 0").select("__row", "source_size", "target", "copies", "before", "slope", "drift")
     again = F.explode(F.sequence(F.lit(0), F.col("copies").cast("int") - 1))
-    placed = planned.withColumn("__copy", again).withColumn("__position", position(F.col("before") + F.col("__copy") * F.col("source_size"), F.col("target"), F.col("slope")))
+    placed = planned.withColumn("__copy", again).withColumn("__position", position(F.col("before") + F.col("__copy") * F.col("source_size"), F.col("target"), F.col("slope"), F.col("drift")))
     # Ranges are cut without the texts: row numbers are range-sorted, and the texts go straight to their range.
     # As many ranges as the input has splits: the planner, seeing only small rows, would make far too few for the texts.
     ranges = (counted.agg(F.max("split").alias("m")).first().m or 0) + 1

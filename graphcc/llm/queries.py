@@ -15,29 +15,77 @@ def op1_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"), k=4, percent=85)
 
 
-def op2_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _components_of(links: str) -> str:
+    """DuckDB text for ``(node, component)`` of links (u, v), read in both directions."""
+    return f"""cc(node, component) USING KEY (node) AS (SELECT u, min(least(u, v)) FROM {links} GROUP BY u
+  UNION SELECT s.v, min(cc.component) FROM cc JOIN {links} s ON s.u = cc.node JOIN recurring.cc r ON r.node = s.v WHERE cc.component < r.component GROUP BY s.v)"""
+
+
+#: Shingles are strings here, sets are told apart by digest, and documents (by doc_id) and sets are nodes of one graph.
+OP1_SQL = f"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '{WORD}') AS ws FROM documents),
+g AS (SELECT doc_id, CASE WHEN len(ws) >= 4 THEN list_sort(list_distinct(list_transform(range(1, len(ws) - 2), lambda i: array_to_string(ws[i:i + 3], ' '))))
+    WHEN len(ws) > 0 THEN [array_to_string(ws, ' ')] ELSE [] END AS s FROM w),
+d AS (SELECT doc_id, len(s)::BIGINT AS n, s, CASE WHEN len(s) > 0 THEN md5(array_to_string(s, chr(10))) END AS h FROM g),
+c AS (SELECT row_number() OVER (ORDER BY h) AS c, h, any_value(n) AS n, any_value(s) AS s FROM d WHERE h IS NOT NULL GROUP BY h),
+p AS (SELECT c, n, unnest(s) AS t FROM c),
+m AS (SELECT a.c AS a, b.c AS b FROM p a JOIN p b ON a.t = b.t AND a.c < b.c AND 100 * least(a.n, b.n) >= 85 * greatest(a.n, b.n)
+  GROUP BY a.c, b.c, a.n, b.n HAVING 100 * count(*) >= 85 * (a.n + b.n - count(*))),
+ids AS (SELECT dense_rank() OVER (ORDER BY doc_id) + 1000000000 AS i, doc_id, h FROM d WHERE doc_id IS NOT NULL),
+l AS (SELECT a AS u, b AS v FROM m UNION SELECT i, c FROM ids JOIN c USING (h)),
+e AS (SELECT u, v FROM l UNION SELECT v, u FROM l),
+{_components_of("e")},
+x AS (SELECT component, min(doc_id) AS label FROM ids JOIN cc ON cc.node = ids.i GROUP BY component),
+of_class AS (SELECT h, label FROM c JOIN cc ON cc.node = c.c JOIN x USING (component)),
+of_doc AS (SELECT DISTINCT doc_id, label FROM ids JOIN cc ON cc.node = ids.i JOIN x USING (component))
+SELECT d.doc_id, d.n AS n_shingles, coalesce(k.label, o.label, d.doc_id) AS component_id
+FROM d LEFT JOIN of_class k ON k.h = d.h LEFT JOIN of_doc o ON o.doc_id = d.doc_id
+"""
+
+
+#: Tokenizer versions of the rollup: what documents are counted by at first, and what two languages are recounted by.
+VERSIONS, RECOUNTED = ("byte_bpe_50k", "byte_bpe_multi_50k"), ("de", "fr")
+
+
+def _rolled_up(spark: SparkSession, first: DataFrame, second: DataFrame, labels: DataFrame) -> DataFrame:
     """Totals after four commits: all documents in, toxic ones out, two languages recounted, one replay."""
     from graphcc.llm.rollup import TokenRollup, revised, signed
 
-    docs, labels = table(spark, sf_dir, "documents", "doc_id", "source", "lang", "text"), table(spark, sf_dir, "labels")
-    counted = keep(docs.select("doc_id", "source", "lang", n_words(F.col("text")).alias("words"), F.coalesce(F.regexp_count("text", F.lit(PIECE)), F.lit(0)).cast("long").alias("pieces")), "counts")
-    by = lambda df, name, col: df.select("source", "lang", F.lit(name).alias("tokenizer"), F.col(col).alias("n_tokens"))
     toxic = labels.where("toxic = 1").select("doc_id").distinct()
-    gone, left = counted.join(toxic, "doc_id", "left_semi"), counted.join(toxic, "doc_id", "left_anti").where(F.col("lang").isin("de", "fr"))
+    left = lambda df: df.join(toxic, "doc_id", "left_anti").where(F.col("lang").isin(*RECOUNTED))
     totals = TokenRollup(spark, scratch_path(spark, "rollup"))
-    totals.commit("0001-load", signed(by(counted, "words-1", "words"), 1))
-    totals.commit("0002-toxic", signed(by(gone, "words-1", "words"), -1))
+    totals.commit("0001-load", signed(first, 1))
+    totals.commit("0002-toxic", signed(first.join(toxic, "doc_id", "left_semi"), -1))
     totals.compact()
-    recount = revised(by(left, "words-1", "words"), by(left, "pieces-2", "pieces"))
+    recount = revised(left(first), left(second))
     totals.commit("0003-recount", recount)
     totals.commit("0003-recount", recount)
     return totals.totals()
 
 
+def op2_token_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tokens by two public vocabularies, kept up to date by signed commits."""
+    from graphcc.llm.rollup import count_tokens
+
+    docs = table(spark, sf_dir, "documents", "doc_id", "source", "lang", "text")
+    first = keep(count_tokens(docs, VERSIONS[0]), "counts")
+    second = keep(count_tokens(docs.where(F.col("lang").isin(*RECOUNTED)), VERSIONS[1]), "counts")
+    return _rolled_up(spark, first, second, table(spark, sf_dir, "labels"))
+
+
+def op2_token_rollup_words(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same commits over counts that SQL can make too: words, and words and signs."""
+    docs = table(spark, sf_dir, "documents", "doc_id", "source", "lang", "text")
+    pieces = F.coalesce(F.regexp_count("text", F.lit(PIECE)), F.lit(0)).cast("long")
+    counted = keep(docs.select("doc_id", "source", "lang", n_words(F.col("text")).alias("words"), F.when(F.col("lang").isin(*RECOUNTED), pieces).alias("pieces")), "counts")
+    by = lambda name, col: counted.select("doc_id", "source", "lang", F.lit(name).alias("tokenizer"), F.col(col).alias("n_tokens"))
+    return _rolled_up(spark, by("words-1", "words"), by("pieces-2", "pieces"), table(spark, sf_dir, "labels"))
+
+
 #: Words and single ASCII signs.
 PIECE = r"[!-/:-@\[-`{-~]|[^\x20\x09-\x0D!-/:-@\[-`{-~]+"
 
-OP2_SQL = f"""
+OP2_WORDS_SQL = f"""
 WITH c AS (SELECT doc_id, source, lang,
     coalesce(len(regexp_extract_all(text, '{WORD}')), 0) AS words,
     coalesce(len(regexp_extract_all(text, '{PIECE}')), 0) AS pieces
@@ -102,7 +150,7 @@ def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     planned = plan(keep(sizes_of(table(spark, sf_dir, "documents", "doc_id", "source", "text")), "sizes"))
     ordered = planned.repartitionByRange("position", "doc_id").sortWithinPartitions("position", "doc_id")
-    return ordered.select("doc_id", "size", "source_size", "target", "taken", "copies")
+    return ordered.select("doc_id", "size", "source_size", "target", "taken", "copies", F.round("position", 9).alias("position"))
 
 
 OP7_SQL = f"""
@@ -114,13 +162,16 @@ w AS (SELECT *, [5.0, 2.0, 1.0][((rk - 1) % 3 + 1)::INT]::DOUBLE AS weight FROM
 q AS (SELECT *, 3.0::DOUBLE * source_size / weight AS ratio FROM w),
 l AS (SELECT *, (sum(source_size) OVER () - 3.0::DOUBLE * coalesce(sum(source_size) OVER (ORDER BY ratio, rk ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))
     / sum(weight) OVER (ORDER BY ratio, rk ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM q),
-t AS (SELECT source, source_size, least(weight * coalesce((SELECT level FROM l WHERE level <= ratio ORDER BY ratio, rk LIMIT 1), 0), 3.0::DOUBLE * source_size) AS target FROM l),
-c AS (SELECT d.doc_id, d.size, t.source_size, t.target,
+g AS (SELECT source, source_size, [-0.5, 0.0, 0.5][((rk - 1) % 3 + 1)::INT]::DOUBLE AS slope, least(weight * coalesce((SELECT level FROM l WHERE level <= ratio ORDER BY ratio, rk LIMIT 1), 0), 3.0::DOUBLE * source_size) AS target FROM l),
+t AS (SELECT *, coalesce(sum(target * slope) OVER () / nullif(sum(target) OVER (), 0), 0) AS drift FROM g),
+c AS (SELECT d.doc_id, d.size, t.source_size, t.target, t.slope, t.drift,
     sum(d.size) OVER (PARTITION BY d.source ORDER BY substr(d.k, 1, 3), d.k, d.size ROWS UNBOUNDED PRECEDING) - d.size AS before,
     CASE WHEN t.source_size > 0 THEN floor(t.target / t.source_size) ELSE 0 END AS whole
   FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
-n AS (SELECT *, least(whole + CASE WHEN before + size / 2.0::DOUBLE < target - whole * source_size THEN 1 ELSE 0 END, 3)::BIGINT AS copies FROM c)
-SELECT doc_id, size, source_size, target, (copies * size)::BIGINT AS taken, copies FROM n
+n AS (SELECT *, least(whole + CASE WHEN before + size / 2.0::DOUBLE < target - whole * source_size THEN 1 ELSE 0 END, 3)::BIGINT AS copies,
+    CASE WHEN target > 0 THEN least(before / target, 1.0::DOUBLE) ELSE 0 END AS share FROM c),
+y AS (SELECT *, CASE WHEN share > 0 THEN least(2 * share / ((1 - slope) + sqrt((1 - slope) * (1 - slope) + 4 * slope * share)), 1.0::DOUBLE) ELSE 0 END AS due FROM n)
+SELECT doc_id, size, source_size, target, (copies * size)::BIGINT AS taken, copies, round(due + drift * (due * due - due), 9)::DOUBLE AS position FROM y
 """
 
 
@@ -130,6 +181,19 @@ def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_substrings(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+OP8_SQL = f"""
+WITH w AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(coalesce(text, ''), '{WORD}') AS ws FROM documents),
+x AS (SELECT r, unnest(range(1, len(ws) - 33)) AS a, ws FROM w WHERE len(ws) >= 35),
+s AS (SELECT r, a, md5(array_to_string(ws[a:a + 34], ' ')) AS h FROM x),
+t AS (SELECT h FROM s GROUP BY h HAVING count(*) > 1),
+c AS (SELECT DISTINCT r, unnest(range(a, a + 35)) AS i FROM s JOIN t USING (h)),
+o AS (SELECT r, list(i) AS gone FROM c GROUP BY r),
+k AS (SELECT doc_id, ws, coalesce(gone, []) AS gone FROM w LEFT JOIN o USING (r))
+SELECT doc_id, len(ws)::BIGINT AS n_words, len(gone)::BIGINT AS n_removed,
+  sha256(coalesce(array_to_string(list_filter(ws, lambda v, i: NOT list_contains(gone, i)), ' '), '')) AS kept_sha256 FROM k
+"""
+
+
 def op9_nearest_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     from graphcc.llm.neighbours import nearest
 
@@ -153,5 +217,14 @@ f AS (SELECT n, arg_max(rhost || rpath, length(rhost || rpath)) AS rule, arg_max
 SELECT page_id, host, path, rule, coalesce(f.verdict, 'allow') AS verdict FROM h LEFT JOIN f USING (n)
 """
 
-QUERIES = {f.__name__: f for f in (op1_jaccard_join, op2_token_rollup, op3_packing, op4_line_dedup, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup, op9_nearest_neighbours, op10_url_filter, op4_line_dedup_short)}
-ORACLES = {"op2_token_rollup": OP2_SQL, "op4_line_dedup": OP4_SQL, "op7_mixing": OP7_SQL, "op10_url_filter": OP10_SQL}
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_jaccard_join, op2_token_rollup, op3_packing, op4_line_dedup, op5_media_columns, op6_quality_classifier, op7_mixing, op8_substring_dedup,
+        op9_nearest_neighbours, op10_url_filter, op4_line_dedup_short, op2_token_rollup_words,
+    )
+}
+ORACLES = {
+    "op1_jaccard_join": OP1_SQL, "op2_token_rollup_words": OP2_WORDS_SQL, "op4_line_dedup": OP4_SQL, "op7_mixing": OP7_SQL, "op8_substring_dedup": OP8_SQL,
+    "op10_url_filter": OP10_SQL,
+}

@@ -2,13 +2,13 @@
 
 The rule file holds the sorted 64-bit xxhash keys of all rules, memory-mapped by
 every Python worker, beside the rules' full strings and their verdicts. A url is
-probed with each parent domain of its host joined to each prefix of its path that has
-the length of some rule's path; probes are answered by one vectorised binary search,
-and a hit counts only if the stored string is equal. The longest rule wins.
+probed with those parent domains of its host, and those prefixes of its path, that have the lengths of a
+rule's host and path, so a url of any length has as many probes as rules have kinds of lengths; probes are
+answered by one vectorised binary search, and a hit counts only if the stored string is equal. The longest rule wins.
 
 Null url, or none with ``://``: host and path empty, no rule. Repeated rows and
-null page_id are kept; extra columns are ignored; an empty table gives no rows.
-A rule is (host, path, verdict) and fits its host and all subdomains.
+null page_id are kept; extra columns are ignored; an empty table gives no rows. Very long
+urls are judged like others. A rule is (host, path, verdict) and fits its host and all subdomains.
 """
 
 from __future__ import annotations
@@ -16,6 +16,7 @@ from __future__ import annotations
 import hashlib
 import os
 import tempfile
+import uuid
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -27,18 +28,19 @@ from pyspark.sql import DataFrame, SparkSession
 #: The rules of the contract.
 RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
 SCHEMA = "page_id long, host string, path string, rule string, verdict string"
-_HEAD = np.dtype([("rules", "<i8"), ("sizes", "<i8")])
+_HEAD = np.dtype([("rules", "<i8"), ("pairs", "<i8")])
 _UPPER = str.maketrans({chr(c): chr(c + 32) for c in range(65, 91)})
 
 
 def write_rules(rules: Iterable[tuple[str, str, str]], path: str) -> None:
-    """The file: header, lengths of rule paths, sorted keys, string offsets, block flags, strings."""
+    """The file: header, pairs of lengths that rules' hosts and paths have, sorted keys, string offsets, block flags, strings."""
+    rules = list(rules)
     best = {h + p: v for h, p, v in rules}
-    sizes = np.array(sorted({len(p.encode()) for _, p, _ in rules}), "<i8")
+    pairs = np.array(sorted({(len(h.encode()), len(p.encode())) for h, p, _ in rules}), "<i8").reshape(-1, 2)
     order = sorted((xxhash.xxh64_intdigest(s), s) for s in best)
     strings = [s.encode() for _, s in order]
     with open(path, "wb") as f:
-        f.write(np.array([(len(order), len(sizes))], _HEAD).tobytes() + sizes.tobytes())
+        f.write(np.array([(len(order), len(pairs))], _HEAD).tobytes() + pairs.tobytes())
         f.write(np.array([k for k, _ in order], "<u8").tobytes())
         f.write(np.cumsum([0, *map(len, strings)]).astype("<i8").tobytes())
         f.write(bytes(best[s] == "block" for _, s in order) + b"".join(strings))
@@ -53,8 +55,8 @@ class DigestArray:
         raw = np.memmap(path, np.uint8, "r")
         n, m = (int(x) for x in raw[:16].view("<i8"))
         at = 16
-        self.sizes = raw[at : at + 8 * m].view("<i8").tolist()
-        at += 8 * m
+        self.sizes = [tuple(x) for x in raw[at : at + 16 * m].view("<i8").reshape(-1, 2).tolist()]
+        at += 16 * m
         self.keys = raw[at : at + 8 * n].view("<u8")
         at += 8 * n
         self.offsets = raw[at : at + 8 * (n + 1)].view("<i8")
@@ -100,15 +102,14 @@ def split_url(url: str | None) -> tuple[str, str]:
     return host.translate(_UPPER), path
 
 
-def _probes(host: str, path: str, sizes: list[int]) -> list[bytes]:
-    """Longest first; all parent domains of the host with the path prefixes rules can have."""
+def _probes(host: str, path: str, sizes: list[tuple[int, int]]) -> list[bytes]:
+    """Longest first; the parent domains of the host and prefixes of the path that are as long as a rule's."""
     if not host:
         return []
-    raw, out = path.encode(), []
-    labels = host.split(".")
-    for i in range(len(labels)):
-        parent = ".".join(labels[i:]).encode()
-        out += [parent + raw[:n] for n in sizes if n <= len(raw)]
+    name, raw, out = host.encode(), path.encode(), []
+    for h, p in sizes:
+        if p <= len(raw) and (h == len(name) or 0 < h < len(name) and name[-h - 1] == 46):  # a dot before it
+            out.append(name[len(name) - h :] + raw[:p])
     return sorted(out, key=len, reverse=True)
 
 
@@ -142,6 +143,8 @@ def judge_urls(spark: SparkSession, pages: DataFrame, rules: Iterable[tuple[str,
     os.makedirs(folder, exist_ok=True)
     path = os.path.join(folder, name)
     if not os.path.exists(path):
-        write_rules(rules, path)
+        part = f"{path}.{uuid.uuid4().hex[:8]}"
+        write_rules(rules, part)
+        os.replace(part, path)  # whole or not at all
     spark.sparkContext.addFile(path)  # Spark's file server takes it to each executor once
     return pages.select("page_id", "url").mapInArrow(_judge(name), SCHEMA)
