@@ -9,11 +9,13 @@ times fewer rows. Equal passages give equal paths but at their ends, where conte
 2. Their paths are compacted by content. A path seen twice repeats with all its windows.
 3. A k-mer with several different paths branches: one representative of each path lists its single
    windows, joined by window hash and weighted by how often the path occurs.
-4. Repeated windows go back, by source coordinates, to each distinct document as word
-   spans; words they cover are removed.
+4. Repeated windows go back, by source coordinates, to each distinct document as word spans. The words at
+   these coordinates are compared by 128-bit digests: a path counts as repeated only if the same words stand at two
+   of its places, a window likewise. Words that confirmed spans cover are removed.
 
-Documents are known by their word sequence, so equal ones share all work. Fixed-size bit
-sets keep rows that cannot matter out of the shuffles; exact joins decide.
+Documents are known by a 128-bit digest of their text, so equal ones share all work. Bit sets of at most 4 MB
+keep rows that cannot matter out of the shuffles until they are full (some millions of k-mers, paths or documents);
+exact joins decide, and beyond that size all paths travel.
 
 Null or blank text has no words and the digest of the empty string. Repeated rows are copies of
 each other like any others. Null doc_id is kept; extra columns are ignored; an empty table gives no rows.
@@ -45,11 +47,36 @@ def _prefix(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return c, down
 
 
-def row_keys(w: W.Words) -> np.ndarray:
-    """A hash of each row's word sequence and its length."""
-    c, down = _prefix(w.hashes)
-    a, b = w.at[:-1], w.at[1:]
-    return W.mix((c[b] - c[a]) * down[a] + (b - a).astype(np.uint64) * W.LANE[5]).view(np.int64)
+def row_keys(col: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """A 128-bit digest of each text, and its first half as a number, by which bit sets know it."""
+    raw, at = W.text_buffer(col)
+    data = memoryview(np.ascontiguousarray(raw))
+    keys = [hashlib.md5(data[a:b], usedforsecurity=False).digest() for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+    return pa.array(keys, pa.binary()), np.frombuffer(b"".join(keys), "<i8")[::2].copy()
+
+
+class Spaced:
+    """The words of a slice with one space between any two, to be compared as they are."""
+
+    def __init__(self, w: W.Words):
+        size = w.ends - w.starts
+        self.starts = np.concatenate(([0], np.cumsum(size + 1)))[:-1]
+        self.ends = self.starts + size
+        out = np.full(int(self.ends[-1]) + 1 if len(size) else 0, 32, np.uint8)
+        out[self._inside(len(out), self.starts, self.ends)] = w.data[self._inside(len(w.data), w.starts, w.ends)]
+        self.data = memoryview(out)
+
+    @staticmethod
+    def _inside(n: int, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        mark = np.zeros(n + 1, np.int8)
+        mark[starts] += 1
+        mark[ends] -= 1
+        return np.cumsum(mark[:-1], dtype=np.int8) > 0
+
+    def digests(self, first: np.ndarray, words: np.ndarray) -> pa.Array:
+        """128 bits for each run of ``words`` words from ``first`` on."""
+        a, b = self.starts[first].tolist(), self.ends[first + words - 1].tolist()
+        return pa.array([hashlib.md5(self.data[x:y], usedforsecurity=False).digest() for x, y in zip(a, b, strict=True)], pa.binary())
 
 
 class Paths:
@@ -114,27 +141,39 @@ def _scan(what: str, span: int, shared=None):
         for batch in batches:
             for part in W.slices(batch):
                 w = W.words(part.column("text"))
-                p, key = Paths(w, span), row_keys(w)
+                p = Paths(w, span)
                 a = p.first - w.at[:-1][p.row]
                 if what == "minimizers":
                     yield pa.RecordBatch.from_arrays([_i64(p.h), pa.array(p.multi.astype(np.int32))], ["h", "multi"])
                     continue
+                doc, key = row_keys(part.column("text"))
                 tested = {"paths": p.h.view(np.int64), "windows": _where(key[p.row], a), "places": p.sw.view(np.int64)}[what]
                 i = np.flatnonzero(bloom.holds(tested, mask))
+                if not len(i):
+                    continue
                 if what == "windows":
-                    of, j, hashes = p.windows(i)
-                    yield pa.RecordBatch.from_arrays([_i64(p.h[i][of]), _i64(p.sw[i][of]), pa.array(j.astype(np.int32)), _i64(hashes)], ["h", "sw", "j", "w"])
+                    yield _window_rows(w, p, i)
+                elif what == "paths":
+                    cols = [_i64(p.h[i]), _i64(p.sw[i]), pa.array(p.multi[i].astype(np.int32)), _i64(key[p.row[i]]), _i64(a[i])]
+                    yield pa.RecordBatch.from_arrays(cols, ["h", "sw", "multi", "key", "a"])
                 else:
-                    cols = [_i64(p.h[i]), _i64(p.sw[i]), pa.array(p.size[i].astype(np.int32)), pa.array(p.multi[i].astype(np.int32)), _i64(key[p.row[i]]), _i64(a[i])]
-                    yield pa.RecordBatch.from_arrays(cols, ["h", "sw", "size", "multi", "key", "a"])
+                    said = Spaced(w).digests(p.first[i], p.size[i] - 1 + span)
+                    cols = [_i64(p.h[i]), _i64(p.sw[i]), pa.array(p.size[i].astype(np.int32)), doc.take(pa.array(p.row[i])), _i64(a[i]), said]
+                    yield pa.RecordBatch.from_arrays(cols, ["h", "sw", "size", "doc", "a", "said"])
 
     return run
 
 
-_PATHS = "h long, sw long, size int, multi int, key long, a long"
+_PATHS = "h long, sw long, multi int, key long, a long"
+_PLACES = "h long, sw long, size int, doc binary, a long, said binary"
+_WINDOWS = "h long, sw long, j int, w long, said binary"
 
 
-_WINDOWS = "h long, sw long, j int, w long"
+def _window_rows(w: W.Words, p: Paths, i: np.ndarray) -> pa.RecordBatch:
+    """The single windows of the paths ``i``."""
+    of, j, hashes = p.windows(i)
+    said = Spaced(w).digests(p.first[i][of] + j, np.full(len(of), p.span))
+    return pa.RecordBatch.from_arrays([_i64(p.h[i][of]), _i64(p.sw[i][of]), pa.array(j.astype(np.int32)), _i64(hashes), said], ["h", "sw", "j", "w", "said"])
 
 
 def _windows(texts: DataFrame, branches: DataFrame, span: int, by_join: bool) -> DataFrame:
@@ -143,14 +182,15 @@ def _windows(texts: DataFrame, branches: DataFrame, span: int, by_join: bool) ->
         ones = texts.sparkSession.sparkContext.broadcast(bloom.build(branches.mapInArrow(_place_of, "place long"), branches.count()))
         return texts.mapInArrow(_scan("windows", span, ones), _WINDOWS)
     at = Kept(branches.groupBy("key").agg(F.collect_set("a").alias("at")), "places").df
-    keyed = texts.mapInArrow(_keyed, "text string, key long").dropDuplicates(["key"])
+    keyed = texts.mapInArrow(_keyed, "text string, key long, doc binary").dropDuplicates(["key", "doc"])
     return keyed.join(at, "key").select("text", "at").mapInArrow(_windows_at(span), _WINDOWS)
 
 
 def _keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for part in W.slices(batch):
-            yield pa.RecordBatch.from_arrays([part.column("text"), pa.array(row_keys(W.words(part.column("text"))))], ["text", "key"])
+            doc, key = row_keys(part.column("text"))
+            yield pa.RecordBatch.from_arrays([part.column("text"), pa.array(key), doc], ["text", "key", "doc"])
 
 
 def _windows_at(span: int):
@@ -162,15 +202,13 @@ def _windows_at(span: int):
                 wanted = [np.array(x, np.int64) for x in part.column("at").to_pylist()]
                 rows = np.repeat(np.arange(len(wanted)), [len(x) for x in wanted])
                 at = w.at[:-1][rows] + np.concatenate(wanted)
-                i = np.flatnonzero(np.isin(p.first, at))
-                of, j, hashes = p.windows(i)
-                yield pa.RecordBatch.from_arrays([_i64(p.h[i][of]), _i64(p.sw[i][of]), pa.array(j.astype(np.int32)), _i64(hashes)], ["h", "sw", "j", "w"])
+                yield _window_rows(w, p, np.flatnonzero(np.isin(p.first, at)))
 
     return run
 
 
 def repeated_spans(texts: DataFrame, span: int = SPAN, most_bits: int = 1 << bloom.MOST) -> DataFrame:
-    """``(key, spans array<struct<a, size, js>>)`` of each distinct word sequence with a repeated window.
+    """``(doc, spans array<struct<a, size, js>>)`` of each distinct text with a repeated window, ``doc`` its digest.
 
     ``js`` null: all ``size`` windows from word ``a`` on are repeated; else those at ``a + j``.
     """
@@ -184,21 +222,29 @@ def repeated_spans(texts: DataFrame, span: int = SPAN, most_bits: int = 1 << blo
     compact = Kept(compact, "paths")
     branching = compact.df.groupBy("h").agg(F.count(F.lit(1)).alias("k"), F.max("multi").alias("m")).where("k > 1 OR m > 0").select("h")
     branches = Kept(compact.df.join(branching, "h", "left_semi"), "branches")
-    single = _windows(texts, branches.df, span, branches.df.count() * 16 > most_bits).dropDuplicates(["sw", "j", "h", "w"])
+    single = _windows(texts, branches.df, span, branches.df.count() * 16 > most_bits).dropDuplicates(["sw", "j", "h", "w", "said"])
     single = Kept(single.join(branches.df.select("h", "sw", "n"), ["h", "sw"]), "windows")
-    twice = single.df.groupBy("h", "w").agg(F.sum("n").alias("t")).where("t > 1").select("h", "w")
-    partly = single.df.where("n = 1").join(Kept(twice, "repeated").df, ["h", "w"], "left_semi").groupBy("h", "sw").agg(F.collect_set("j").alias("js"))
+    twice = single.df.groupBy("h", "w", "said").agg(F.sum("n").alias("t")).where("t > 1").select("h", "w", "said")
+    twice = Kept(twice, "repeated")
+    partly = single.df.where("n = 1").join(twice.df, ["h", "w", "said"], "left_semi").groupBy("h", "sw").agg(F.collect_set("j").alias("js"))
     whole = compact.df.where("n > 1").select("h", "sw", F.lit(None).cast("array<int>").alias("js"))
     repeats = Kept(whole.unionByName(partly), "repeats")
     seen = sc.broadcast(bloom.build(repeats.df.select("sw"), repeats.df.count()))
-    found = texts.mapInArrow(_scan("places", span, seen), _PATHS).dropDuplicates(["key", "a", "h", "sw", "size"]).select("h", "sw", "size", "key", "a")
-    spans = found.join(repeats.df, ["h", "sw"]).groupBy("key").agg(F.collect_list(F.struct("a", "size", "js")).alias("spans"))
-    out = Kept(spans, "spans")
-    for t in (kept, compact, branches, single, repeats):
+    places = texts.mapInArrow(_scan("places", span, seen), _PLACES).groupBy("h", "sw", "size", "doc", "a", "said").agg(F.count(F.lit(1)).alias("n"))
+    found = Kept(places.join(repeats.df, ["h", "sw"]), "places")
+    same = found.df.where("js IS NULL").groupBy("h", "sw", "said").agg(F.sum("n").alias("t")).where("t > 1").select("h", "sw", "said")
+    sure = found.df.where("js IS NULL").join(same, ["h", "sw", "said"], "left_semi").unionByName(found.df.where("js IS NOT NULL"))
+    out = Kept(sure.groupBy("doc").agg(F.collect_list(F.struct("a", "size", "js")).alias("spans")), "spans")
+    for t in (kept, compact, branches, single, twice, repeats, found):
         t.drop()
     return out.df
 
 
+def _half(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        yield pa.RecordBatch.from_arrays([pa.array(np.frombuffer(b"".join(b.column(0).to_pylist()), "<i8")[::2])], ["key"])
+
+
 def _place_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for b in batches:
         yield pa.RecordBatch.from_arrays([pa.array(_where(b.column("key").to_numpy(), b.column("a").to_numpy()))], ["place"])
@@ -237,10 +283,10 @@ def _untouched(shared, inverse: bool, texts: bool):
         for batch in batches:
             for part in W.slices(batch):
                 w = W.words(part.column("text"))
-                key = row_keys(w)
+                doc, key = row_keys(part.column("text"))
                 may = bloom.holds(key, shared.value)
                 if inverse:
-                    yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text"), pa.array(key)], ["doc_id", "text", "key"]).filter(pa.array(may))
+                    yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text"), doc], ["doc_id", "text", "doc"]).filter(pa.array(may))
                 else:
                     yield _kept(part, w, np.zeros(len(w.starts), bool), texts).filter(pa.array(~may))
 
@@ -267,8 +313,8 @@ def dedup_substrings(docs: DataFrame, span: int = SPAN, texts: bool = False, mos
     """``(doc_id, n_words, n_removed, kept_sha256)`` of every row, with ``kept_text`` on request."""
     docs = docs.select("doc_id", "text")
     spans = repeated_spans(docs, span, most_bits)
-    may = docs.sparkSession.sparkContext.broadcast(bloom.build(spans.select("key"), spans.count()))
+    may = docs.sparkSession.sparkContext.broadcast(bloom.build(spans.select("doc").mapInArrow(_half, "key long"), spans.count()))
     schema = SCHEMA + ", kept_text string" * texts
     clean = docs.mapInArrow(_untouched(may, False, texts), schema)
-    rest = docs.mapInArrow(_untouched(may, True, texts), "doc_id long, text string, key long").join(spans, "key", "left")
+    rest = docs.mapInArrow(_untouched(may, True, texts), "doc_id long, text string, doc binary").join(spans, "doc", "left")
     return clean.unionByName(rest.select("doc_id", "text", "spans").mapInArrow(_cut(span, texts), schema))

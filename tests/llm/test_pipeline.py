@@ -118,3 +118,18 @@ def test_run_and_empty_input(spark, sf, tmp_path):
 
 def test_stage_names_follow_the_order():
     assert [n for n, _ in corpus_pipeline.STAGES] == ["quality classifier", "line dedup", "n-gram Jaccard join", "mixing", "packing"]
+
+
+def test_rows_that_share_an_id_stay_unless_alike(spark):
+    rows = [(7, "one two three four five six seven"), (7, "quite another text of so many words"), (7, "one two three four five six seven"), (None, "a third one that has no id at all"), (None, "and a fourth that has none as well")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "'en' AS lang", "'s' AS source", "1L AS n_chars")
+    left = corpus_pipeline.near_duplicates(spark, docs, "")
+    assert sorted(r.text for r in left.collect()) == sorted({t for _, t in rows})
+
+
+def test_stages_leave_columns_of_any_name_alone(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").limit(30).selectExpr("*", "'mine' AS score", "doc_id AS position", "7 AS component_id", "text AS line")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        before, docs = docs, Kept(stage(spark, docs, sf), "stage").df
+        assert docs.columns == before.columns, name
+    assert docs.where("score <> 'mine' OR position <> doc_id OR component_id <> 7").count() == 0 and docs.count()

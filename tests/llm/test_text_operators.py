@@ -190,3 +190,31 @@ def test_line_dedup_is_native(spark, sf):
     for df in (lines.dedup_lines(docs), lines.line_report(docs)):
         plan = df._jdf.queryExecution().toString()
         assert "Python" not in plan and "Arrow" not in plan and "Pandas" not in plan
+
+
+def test_jaccard_links_through_rows_of_one_id(spark):
+    one, two = "a b c d e f g h i j k l m n o p", "q r s t u v w x y z aa bb cc dd ee"
+    rows = [(5, one), (5, two), (8, one + " z9"), (9, two + " z8"), (8, ""), (9, None), (11, None), (None, None)]
+    rows += [(30, "m1 m2 m3 m4 m5 m6 m7 m8 m9"), (None, "m1 m2 m3 m4 m5 m6 m7 m8 m9 n1 n2"), (20, "m1 m2 m3 m4 m5 m6 m7 m8 m9 n1 n2 n3 n4")]
+    got = sorted(((r.doc_id, r.component_id) for r in jaccard.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), 4, 75).collect()), key=str)
+    want = [(5, 5), (5, 5), (8, 5), (8, 5), (9, 5), (9, 5), (11, 11), (None, None), (30, 20), (None, 20), (20, 20)]
+    assert got == sorted(want, key=str)
+
+
+def test_sketch_grows_with_the_corpus_up_to_a_bound():
+    assert [jaccard.sketch_bits_for(n) for n in (0, 1 << 20, 1 << 28, 1 << 40)] == [18, 18, 20, 20]
+
+
+def test_spaced_words_are_compared_as_they_are():
+    a, b = (W.words(pa.array([t])) for t in ("x  one\ttwo  three", "one two three four"))
+    count = np.array([3])
+    assert substrings.Spaced(a).digests(np.array([1]), count) == substrings.Spaced(b).digests(np.array([0]), count)
+    assert substrings.Spaced(a).digests(np.array([0]), count) != substrings.Spaced(b).digests(np.array([0]), count)
+
+
+def test_line_dedup_of_very_long_lines(spark):
+    rng = random.Random(5)
+    line = "".join(rng.choice("abcdefgh ") for _ in range(30_000))
+    rows = [(1, line), (2, line[:777] + "X" + line[778:]), (3, line[:20_000]), (4, line + "ab")]
+    got = {r.doc_id: (r.exact_repeats, r.near_repeats) for r in lines.line_report(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: (0, 0), 2: (0, 1), 3: (0, 0), 4: (0, 1)}
