@@ -7,7 +7,7 @@ leaves in a best-bin-first order. How many leaves are visited is calibrated: for
 true neighbours are found by brute force over all rows, in blocks, and visits are widened until the wanted
 share of these neighbours lies in visited leaves; every query goes on until its leaves hold k rows besides its own.
 
-Neighbouring leaves make a cell of about ``group_rows`` rows; a leaf with more is a cell in several blocks. A row
+Neighbouring leaves make a cell of about ``group_rows`` rows (a 64th of the table, between 256 and 65,536); a leaf with more is a cell in several blocks. A row
 moves once, to its cell and block; queries are copied to the cells that they visit. Only where very many queries meet
 one block is it copied, to split them. Of equal vectors in a batch of the scan, just those with the smallest ids are
 kept as candidates, as the others cannot be among the k nearest: so a group of copies as large as a third of the
@@ -325,7 +325,7 @@ def _nearest_of(vectors: DataFrame, is_query, dims: int, total: int, k: int, rec
     held = np.zeros(tree.leaves, np.int64)
     for r in index.where("candidate").groupBy("leaf").agg(F.count(F.lit(1)).alias("n")).collect():
         held[r.leaf] = r.n
-    cell, blocks = cells_of(held, group_rows or min(1 << 16, max(1 << 13, total >> 12)))
+    cell, blocks = cells_of(held, group_rows or min(1 << 16, max(1 << 8, total >> 6)))
     asking = index.where(is_query).select("vec_id", "embedding").mapInArrow(_routes(shared, dims, visits, held, least, cell), "vec_id long, embedding array<float>, cell int, leaves array<int>")
     routes = Kept(asking, "routes").df
     met = {r.cell: r.n for r in routes.groupBy("cell").agg(F.count(F.lit(1)).alias("n")).collect()}
