@@ -222,7 +222,7 @@ query("members_w2b", f"WITH s AS ({workload_sql('w2b')}) SELECT node FROM s WHER
 query("same_component_w2", f"WITH s AS ({workload_sql('w2')}), e AS (SELECT DISTINCT u AS a, v + 2 AS b FROM ({duck_sql(EDGES['w2'])}) x) SELECT a, b, coalesce(s1.component = s2.component, false) AS same FROM e LEFT JOIN s s1 ON s1.node = a LEFT JOIN s s2 ON s2.node = b")(
     lambda spark, d: G.same_component(cc(spark, d, "w2"), edges(spark, d, "w2").select(F.col("u").alias("a"), (F.col("v") + 2).alias("b")).distinct())
 )
-query("contract_w3_by_w2", f"WITH l AS ({workload_sql('w2')}), e AS ({duck_sql(EDGES['w2b'])}), x AS (SELECT coalesce(a.component, u) AS x, coalesce(b.component, v) AS y FROM e LEFT JOIN l a ON a.node = u LEFT JOIN l b ON b.node = v) SELECT DISTINCT least(x, y) AS u, greatest(x, y) AS v FROM x WHERE x <> y")(
+query("contract_w2b_by_w2", f"WITH l AS ({workload_sql('w2')}), e AS ({duck_sql(EDGES['w2b'])}), x AS (SELECT coalesce(a.component, u) AS x, coalesce(b.component, v) AS y FROM e LEFT JOIN l a ON a.node = u LEFT JOIN l b ON b.node = v) SELECT DISTINCT least(x, y) AS u, greatest(x, y) AS v FROM x WHERE x <> y")(
     lambda spark, d: G.contract(edges(spark, d, "w2b"), cc(spark, d, "w2"))
 )
 _SPLIT = f"WITH RECURSIVE all_e AS (SELECT DISTINCT u, v FROM ({duck_sql(EDGES['w9'])}) z), deg AS (SELECT n, count(*) AS c FROM (SELECT u AS n FROM all_e UNION ALL SELECT v FROM all_e) q GROUP BY n), e AS (SELECT u, v FROM all_e WHERE u NOT IN (SELECT n FROM deg WHERE c > 20) AND v NOT IN (SELECT n FROM deg WHERE c > 20)),"
@@ -236,7 +236,7 @@ def _(spark, d):
 
 
 # Functions in Python.
-_COS = duck_sql("SELECT a.vec_id AS a, b.vec_id AS b, round({cosine}, 6) AS cosine FROM {embeddings} a JOIN {embeddings} b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.label = 3")
+_COS = duck_sql("SELECT a.vec_id AS a, b.vec_id AS b, round({cosine}, 6) AS cosine FROM {embeddings} a JOIN {embeddings} b ON a.label = b.label AND a.vec_id < b.vec_id")
 
 
 def _cosine_vectorised(e):
@@ -254,8 +254,8 @@ def _cosine_vectorised(e):
     return pairs.select(F.col("a.vec_id").alias("a"), F.col("b.vec_id").alias("b"), F.round(cosine("a.embedding", "b.embedding"), 6).alias("cosine"))
 
 
-query("udf_cosine_vectorised", _COS)(lambda spark, d: _cosine_vectorised(t(spark, d, "embeddings").where("label = 3")))
-query("udf_cosine_builtin", _COS)(lambda spark, d: spark.sql(spark_sql("SELECT a.vec_id AS a, b.vec_id AS b, round({cosine}, 6) AS cosine FROM {embeddings} a JOIN {embeddings} b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.label = 3", d)))
+query("udf_cosine_vectorised", _COS)(lambda spark, d: _cosine_vectorised(t(spark, d, "embeddings")))
+query("udf_cosine_builtin", _COS)(lambda spark, d: spark.sql(spark_sql("SELECT a.vec_id AS a, b.vec_id AS b, round({cosine}, 6) AS cosine FROM {embeddings} a JOIN {embeddings} b ON a.label = b.label AND a.vec_id < b.vec_id", d)))
 
 
 @query("udf_component_checksum", f"SELECT component, bit_xor(node)::BIGINT AS checksum FROM ({workload_sql('w2b')}) GROUP BY component")
@@ -324,12 +324,9 @@ def _(spark, d):
     return spark.sql("SELECT o_orderstatus, count(DISTINCT component) AS components FROM components JOIN orders_in ON node = o_orderkey * 2 + 1 GROUP BY o_orderstatus")
 
 
-# The whole jobs behind operators above whose SQL takes a part; at the end, so that the order of the others stays.
-_COS_ALL = "SELECT a.vec_id AS a, b.vec_id AS b, round({cosine}, 6) AS cosine FROM {embeddings} a JOIN {embeddings} b ON a.label = b.label AND a.vec_id < b.vec_id"
-query("whole_cosine_vectorised_w5", duck_sql(_COS_ALL))(lambda spark, d: _cosine_vectorised(t(spark, d, "embeddings")))
-query("whole_cosine_builtin_w5", duck_sql(_COS_ALL))(lambda spark, d: spark.sql(spark_sql(_COS_ALL, d)))
+# The quotient of all order-part links, beside that of a part of them.
 query(
-    "whole_contract_w3_by_w2",
+    "contract_w3_by_w2",
     f"WITH l AS ({workload_sql('w2')}), e AS ({duck_sql(EDGES['w3'])}), x AS (SELECT coalesce(a.component, u) AS x, coalesce(b.component, v) AS y FROM e LEFT JOIN l a ON a.node = u LEFT JOIN l b ON b.node = v) SELECT DISTINCT least(x, y) AS u, greatest(x, y) AS v FROM x WHERE x <> y",
 )(lambda spark, d: G.contract(edges(spark, d, "w3"), cc(spark, d, "w2")))
 

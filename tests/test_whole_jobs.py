@@ -22,13 +22,13 @@ def same_as_sql(spark, sf, name):
 
 
 def test_cosines_of_all_labels(spark, sf):
-    for name in ("whole_cosine_vectorised_w5", "whole_cosine_builtin_w5"):
+    for name in ("udf_cosine_vectorised", "udf_cosine_builtin"):
         assert len(same_as_sql(spark, sf, name)) == 12432  # W5 in FIXTURES.md
 
 
 def test_quotient_of_all_order_part_links(spark, sf):
-    whole = same_as_sql(spark, sf, "whole_contract_w3_by_w2")
-    part = entry.queries()["contract_w3_by_w2"](spark, sf).collect()
+    whole = same_as_sql(spark, sf, "contract_w3_by_w2")
+    part = entry.queries()["contract_w2b_by_w2"](spark, sf).collect()
     assert {tuple(r) for r in part} < {tuple(r) for r in whole}
 
 
