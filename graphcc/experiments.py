@@ -40,21 +40,23 @@ def measure(e: DataFrame, **options) -> dict:
     }
 
 
-def sized(spark: SparkSession, sf_dir: str, copies: int) -> DataFrame:
-    """The order-part graph ``copies`` times over: about 0.6 million edges a copy at sf0.1."""
-    return Kept(replicate(edges(spark, sf_dir, "w3"), copies, STRIDE).repartition(max(8, copies * 2)), "edges").df
+def sized(spark: SparkSession, sf_dir: str, copies: int, workload: str = "w3", bridge: bool = False) -> DataFrame:
+    """A workload's graph ``copies`` times over, tied together with ``bridge``; the order-part graph has about 0.6 million edges a copy at sf0.1."""
+    return Kept(replicate(edges(spark, sf_dir, workload), copies, STRIDE, bridge).repartition(max(8, copies * 2)), "edges").df
 
 
-def sizes(spark: SparkSession, d: str, copies=(1, 2, 17)) -> Iterator[tuple]:
-    for c in copies:
-        e = sized(spark, d, c)
-        n = e.count()
-        for name, options in METHODS.items():
-            yield n, name, measure(e, **options)
+def sizes(spark: SparkSession, d: str, copies=(1, 2, 17), workloads=("w1", "w2b", "w3", "w9")) -> Iterator[tuple]:
+    for w in workloads:
+        for c in copies:
+            for bridge in (False, True)[: 1 + (c > 1)]:
+                e = sized(spark, d, c, w, bridge)
+                n = e.count()
+                for name, options in METHODS.items():
+                    yield f"{w}{' bridged' * bridge}, {n} edges", name, measure(e, **options)
 
 
 def local(spark: SparkSession, d: str) -> Iterator[tuple]:
-    for w in ("w1", "w2b", "w3", "w4", "w5", "w6", "w9"):
+    for w in ("w1", "w2b", "w3", "w4", "w5", "w6", "w6b", "w7", "w8", "w9"):
         e = Kept(edges(spark, d, w), "edges").df
         for name in ("lfpe", "lfpe_no_local"):
             yield w, name, measure(e, method=name)

@@ -57,3 +57,12 @@ def test_local_measures_of_eight_tasks(spark, sf):
     cases = {(r.as_parent, r.as_child): r.nodes for r in entry.queries()["proof_scenarios_w2_k8"](spark, sf).collect()}
     assert cases == collections.Counter(map(tuple, roles.values()))
     assert len(parts) > 1 and max(a + b for a, b in cases) > 1
+
+
+def test_size_sweep_has_copies_apart_and_tied(spark, sf):
+    from graphcc import experiments
+
+    got = list(experiments.sizes(spark, sf, copies=(2,), workloads=("w2b",)))
+    assert len(got) == 2 * len(experiments.METHODS) and all(m["converged"] for _, _, m in got)
+    apart, tied = ({m["result"] for data, _, m in got if ("bridged" in data) == b} for b in (False, True))
+    assert apart == {2 * 116} and tied == {2 * 116 - 1}  # components of W2b in FIXTURES.md
