@@ -3,13 +3,16 @@
 State lives in two tables in shared storage. ``nodes`` is append-only: every node with the root it had when it
 first came, one folder a batch. ``roots`` maps these roots to the current components and is written anew,
 as a version, by each batch: it holds roots only, so merging two components of a billion nodes rewrites
-two rows. Node folders are folded into one, sorted by node, every ``FOLD_EVERY`` batches; a batch reads
-the two columns of all nodes once to find its own. A batch works on the contracted graph of its edges' ends, then commits by its version's success
-mark; run again, it overwrites its own folders. Union is commutative and monotone, so late edges need no retraction.
+two rows. Node folders are folded into one, sorted by node, every ``FOLD_EVERY`` batches; a batch finds its own
+nodes by reading the row groups that meet the ranges its ids lie in, ``BANDS`` of them at most. It works on the
+contracted graph of its edges' ends, then commits by its version's success mark; run again, it overwrites its own
+folders. Union is commutative and monotone, so late edges need no retraction.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
@@ -21,6 +24,19 @@ from graphcc.session import Kept, exists, remove, scratch_path
 
 #: Batches after which their folders of nodes become one, so that a batch reads few folders however many came before.
 FOLD_EVERY = 16
+#: Ranges of ids, of equal width, that a batch's nodes are looked up by.
+BANDS = 64
+
+
+def within_bands(nodes: DataFrame, ends: DataFrame) -> DataFrame:
+    """Rows of ``nodes`` that may be among ``ends``: the scan skips row groups outside the ranges where these lie."""
+    span = ends.agg(F.min("node").alias("low"), F.max("node").alias("high")).first()
+    if span.low is None:
+        return nodes.limit(0)
+    width = max(1.0, (float(span.high) - float(span.low)) / BANDS)  # in doubles: the ids may span all 64 bits
+    band = F.floor((F.col("node").cast("double") - F.lit(float(span.low))) / F.lit(width))
+    met = ends.groupBy(band.alias("band")).agg(F.min("node").alias("low"), F.max("node").alias("high")).collect()  # a row a band
+    return nodes.where(reduce(lambda a, b: a | b, [F.col("node").between(r.low, r.high) for r in met]))
 
 
 class ComponentState:
@@ -72,8 +88,8 @@ class ComponentState:
         """Fold one batch of edges into the state; a batch applied again changes nothing."""
         nodes, roots = self._read(batch_id)
         edges = Kept(check_edges(batch).where("u <> v").distinct(), "batch")
-        ends = edges.df.select(F.explode(F.array("u", "v")).alias("node")).distinct()
-        known = ends.join(nodes, "node", "left").join(roots, "root", "left")
+        both = edges.df.select(F.explode(F.array("u", "v")).alias("node"))
+        known = both.distinct().join(within_bands(nodes, both), "node", "left").join(roots, "root", "left")
         here = Kept(known.select("node", F.coalesce("component", "node").alias("at"), F.col("root").isNull().alias("fresh")), "ends")
         one, two = here.df.select(F.col("node").alias("u"), F.col("at").alias("x")), here.df.select(F.col("node").alias("v"), F.col("at").alias("y"))
         contracted = edges.df.join(one, "u").join(two, "v").where("x <> y").select(F.col("x").alias("u"), F.col("y").alias("v")).distinct()

@@ -21,7 +21,7 @@ from graphcc.schema import canonicalize, dropped_edges
 from graphcc.sources import synthetic
 from graphcc.sources.workloads import edges as workload
 from graphcc.sources.workloads import replicate
-from graphcc.streaming.incremental import ComponentState, incremental_components
+from graphcc.streaming.incremental import BANDS, ComponentState, incremental_components, within_bands
 from graphcc.streaming.queries import settle
 
 
@@ -316,6 +316,21 @@ def test_state_folds_its_folders_and_a_restart_repeats_nothing(spark, tmp_path):
     assert len(state._node_folders(4)) == 3 and rows(state.components()) == brute(pairs)
 
 
+def test_a_batch_looks_its_nodes_up_by_ranges(spark, tmp_path):
+    path, far = str(tmp_path / "nodes"), 2**62
+    ids = [-far, -7, 0, 5, 6, 1000, far]
+    spark.createDataFrame([(i, i) for i in [*ids, -8, 7, 2000]], "node long, root long").write.parquet(path)
+    nodes = spark.read.schema("node long, root long").parquet(path)
+    near = within_bands(nodes, spark.createDataFrame([(5,), (6,), (5,)], "node long"))
+    assert {r.node for r in near.collect()} == {5, 6}
+    plan = near._jdf.queryExecution().executedPlan().toString()
+    assert "GreaterThanOrEqual(node,5)" in plan.split("PushedFilters")[1]
+    assert set(ids) <= {r.node for r in within_bands(nodes, spark.createDataFrame([(i,) for i in ids], "node long")).collect()}
+    wide = within_bands(nodes, spark.range(0, 10 * BANDS).select(F.col("id").alias("node")))
+    assert {r.node for r in wide.collect()} == {0, 5, 6, 7}
+    assert within_bands(nodes, spark.createDataFrame([], "node long")).isEmpty()
+
+
 def test_stream_restarts_from_its_checkpoint(spark, tmp_path):
     source, checkpoint, state = str(tmp_path / "in"), str(tmp_path / "checkpoint"), str(tmp_path / "state")
     graph(spark, [(1, 2), (5, 6)]).coalesce(1).write.parquet(source)
