@@ -26,6 +26,8 @@ WIDTH = 64
 #: Fixed value: the eight bytes that every PNG file begins with.
 SIGNATURE = bytes([137, 80, 78, 71, 13, 10, 26, 10])
 SIDE, LOW = 32, 8
+#: Rows of an image that are averaged at a time.
+BLOCK = 1024
 _k, _x = np.arange(LOW)[:, None], np.arange(SIDE)[None, :]
 _DCT = np.cos(np.pi * (2 * _x + 1) * _k / (2 * SIDE))
 
@@ -112,13 +114,19 @@ def decode_png(data: bytes) -> np.ndarray:
     raise ValueError("cut short")
 
 
+def _overlaps(first: int, rows: int, total: int) -> np.ndarray:
+    """How much of each of ``rows`` rows from ``first`` on lies in each of ``SIDE`` equal stretches of ``total`` rows."""
+    edge = np.arange(SIDE + 1) * (total / SIDE)
+    row = np.arange(first, first + rows)
+    return np.maximum(np.minimum(row + 1, edge[1:, None]) - np.maximum(row, edge[:-1, None]), 0)
+
+
 def _shrink(x: np.ndarray) -> np.ndarray:
     """``SIDE`` means over equal stretches of rows; a row that two stretches share counts in both by its parts."""
-    edge = np.arange(SIDE + 1) * (len(x) / SIDE)
     out = np.zeros((SIDE, x.shape[1]))
-    for i, (a, b) in enumerate(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)):
-        first, last = int(a), min(int(np.ceil(b)), len(x))
-        out[i] = x[first:last].sum(axis=0, dtype=np.float64) - (a - first) * x[first] - (last - b) * x[last - 1]
+    for a in range(0, len(x), BLOCK):
+        part = x[a : a + BLOCK].astype(np.float64)
+        out += _overlaps(a, len(part), len(x)) @ part
     return out * (SIDE / len(x))
 
 
