@@ -20,7 +20,7 @@ from graphcc.sources.workloads import edges, replicate
 STRIDE = 4_000_000
 METHODS = {
     "star contraction": {"method": "star_contraction"}, "without local forests": {"method": "lfpe_no_local"}, "local forests, then election": {"method": "lfpe"},
-    "label propagation": {"method": "label_propagation"},
+    "label propagation": {"method": "label_propagation"}, "graph library": {"method": "graph_library"},
 }
 
 

@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphcc.plans.components import connected_components
-from graphcc.session import Kept
+from graphcc.plans.components import NotConverged, connected_components
+from graphcc.plans.metrics import observed
+from graphcc.session import Kept, computed_at_once, scratch_path
 
 LCC_NODES = 5000
 
@@ -78,17 +79,27 @@ def split_lcc(edges: DataFrame, max_degree: int, **options) -> DataFrame:
 def diameter_hint(edges: DataFrame, stars: DataFrame, max_rounds: int = 1000) -> DataFrame:
     """``(component, least_diameter)``: the farthest any node lies from the smallest one, by a breadth-first walk of all components at once.
 
-    A component's diameter is that at least, and twice that at most. Only the last step's nodes meet the edges.
+    A component's diameter is that at least, and twice that at most. Only the last step's nodes meet the edges, and what
+    they reach is new unless it lies in that step or the one before. Raises NotConverged after ``max_rounds`` steps.
     """
-    e = edges.where("u <> v")
-    both = Kept(e.select("u", "v").union(e.select("v", "u")).distinct(), "both").df
-    front = Kept(stars.where("node = component").select("node", "component", F.lit(0).alias("step")), "front").df
-    seen = front
-    for step in range(1, max_rounds + 1):
-        reached = both.join(front, F.col("u") == F.col("node")).select(F.col("v").alias("to"), F.col("component").alias("c")).distinct()
-        fresh = reached.join(seen, F.col("to") == F.col("node"), "left_anti").select(F.col("to").alias("node"), F.col("c").alias("component"), F.lit(step).alias("step"))
-        front = Kept(fresh, "front").df
-        if front.isEmpty():
+    e, spark = edges.where("u <> v"), edges.sparkSession
+    both = Kept(e.select("u", "v").union(e.select("v", "u")).distinct(), "both")
+    path, shape = scratch_path(spark, "steps"), "node long, component long, step int"
+
+    def step_of(n: int) -> DataFrame:
+        return spark.read.schema(shape).parquet(f"{path}/{n}")
+
+    stars.where("node = component").select("node", "component", F.lit(0).alias("step")).write.parquet(f"{path}/0")
+    for n in range(1, max_rounds + 1):
+        front = step_of(n - 1)
+        near = front if n == 1 else front.unionByName(step_of(n - 2))
+        reached = both.df.join(front, F.col("u") == front.node).select(F.col("v").alias("node"), "component").distinct()
+        new, seen = observed(reached.join(near.select("node"), "node", "left_anti").withColumn("step", F.lit(n)))
+        with computed_at_once(spark):
+            new.write.parquet(f"{path}/{n}")
+        if not seen.get["n"]:
             break
-        seen = seen.unionByName(front)
-    return seen.groupBy("component").agg(F.max("step").cast("long").alias("least_diameter"))
+    else:
+        raise NotConverged(f"some component reaches farther than {max_rounds} steps")
+    both.drop()
+    return spark.read.schema(shape).parquet(f"{path}/*").groupBy("component").agg(F.max("step").cast("long").alias("least_diameter"))

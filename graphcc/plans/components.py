@@ -84,10 +84,11 @@ def connected_components(
     """``(node, component)``, component being the smallest node id of each component.
 
     Methods: ``lfpe`` (local forests, then parent election), ``lfpe_no_local``, ``star_contraction``,
-    ``label_propagation``, ``sequential`` and ``recursive_sql`` (small inputs). ``output='forest'`` of the
-    first two returns the spanning forest instead. ``vertices(node)`` adds nodes without an edge.
+    ``label_propagation``, ``graph_library`` (the JVM library's routine, to compare with), ``sequential`` and
+    ``recursive_sql`` (small inputs). ``output='forest'`` of the first two returns the spanning forest instead.
+    ``vertices(node)`` adds nodes without an edge.
     """
-    from graphcc.baselines import label_propagation, recursive_sql, star_contraction
+    from graphcc.baselines import graph_library, label_propagation, recursive_sql, star_contraction
     from graphcc.baselines.driver_side import sequential_components
 
     run = run or Run(method)
@@ -100,6 +101,8 @@ def connected_components(
         result = star_contraction.components(check_edges(edges), run=run, **options)
     elif method == "label_propagation":
         result = label_propagation.components(check_edges(edges), run=run, **options)
+    elif method == "graph_library":
+        result = graph_library.components(check_edges(edges), run=run, **options)
     elif method == "sequential":
         result = sequential_components(check_edges(edges), **options)
     elif method == "recursive_sql":

@@ -52,6 +52,7 @@ BASELINES = {
     "star_alternate": ({"method": "star_contraction"}, ("w2b", "w3", "w6", "w9")),
     "star_inner_fixpoint": ({"method": "star_contraction", "schedule": "inner_fixpoint"}, ("w2b", "w3")),
     "label_propagation": ({"method": "label_propagation"}, ("w2b", "w3", "w9")),
+    "graph_library": ({"method": "graph_library"}, ("w2b", "w3", "w9")),
     "sequential": ({"method": "sequential"}, ("w2b", "w3", "w6", "w9")),
     "sequential_unweighted": ({"method": "sequential", "weighted": False}, ("w2b",)),
     "sequential_uncompressed": ({"method": "sequential", "compress": False}, ("w2b",)),
@@ -300,7 +301,7 @@ register(
     f"SELECT (SELECT count(*) FROM ({_W3}) e)::BIGINT AS edges, (count(*) - count(DISTINCT component))::BIGINT AS resolved, 0::BIGINT AS left_live, true AS converged FROM ({workload_sql('w3')})",
 )
 
-_COMPARED = {"lfpe": {}, "lfpe_no_local": {}, "star_contraction": {}, "label_propagation": {}}
+_COMPARED = {"lfpe": {}, "lfpe_no_local": {}, "star_contraction": {}, "label_propagation": {}, "graph_library": {}}
 
 
 def _speedups(spark: SparkSession, d: str) -> DataFrame:

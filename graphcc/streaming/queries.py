@@ -72,6 +72,17 @@ def _(spark, d):
     return ComponentState(spark, path).components()
 
 
+@_add("stream_cc_restart_w2b", workload_sql("w2b"))
+def _(spark, d):
+    """A stream stopped after half of its edges and started again from its checkpoint when the others have come."""
+    state, source, checkpoint = (scratch_path(spark, n) for n in ("components", "slices", "checkpoint"))
+    e = edges(spark, d, "w2b").select("u", "v")
+    for half in (0, 1):
+        e.where(F.pmod(F.xxhash64("u", "v"), F.lit(2)) == half).coalesce(1).write.mode("append").parquet(source)
+        incremental_components(spark.readStream.schema(e.schema).parquet(source), state, checkpoint).awaitTermination()
+    return ComponentState(spark, state).components()
+
+
 _TUMBLE = "SELECT event_type, time_bucket(INTERVAL 1 DAY, ts) AS day, count(*)::BIGINT AS n FROM events GROUP BY ALL"
 
 
@@ -103,6 +114,25 @@ def _(spark, d):
     return settle(per).where("user_id IS NOT NULL").select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("start"), "n")
 
 
+_IN_TIME = """SELECT time_bucket(INTERVAL 1 DAY, ts) AS day, count(*)::BIGINT AS n FROM events
+    WHERE event_id % 3 <> 0 OR time_bucket(INTERVAL 1 DAY, ts) + INTERVAL 1 DAY > (SELECT max(ts) FROM events WHERE event_id % 3 = 1) - INTERVAL 1 HOUR GROUP BY 1"""
+
+
+@_add("stream_late_rows", _IN_TIME)
+def _(spark, d):
+    """A third of the events comes after the others: of these only those count whose day the watermark has not closed.
+
+    Rows are late by the watermark that held when the batch before theirs began, here that of the first third.
+    """
+    e, source = _events(spark, d).select("event_id", "ts"), scratch_path(spark, "slices")
+    end = e.agg((F.max("ts") + F.expr("INTERVAL 90 DAYS")).alias("ts")).select(F.lit(None).cast("long").alias("event_id"), "ts")
+    for part in (*(e.where(F.col("event_id") % 3 == i) for i in (1, 2, 0)), end):  # the last one lets all windows out
+        part.coalesce(1).write.mode("append").parquet(source)
+    stream = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(source).withWatermark("ts", "1 hour")
+    per = stream.groupBy(F.window("ts", "1 day")).agg(F.count("event_id").alias("n"))
+    return settle(per).where("n > 0").select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n")
+
+
 @_add("stream_dedup_watermark", "SELECT DISTINCT user_id, event_type, event_id FROM events")
 def _(spark, d):
     e = _events(spark, d).select("user_id", "event_type", "event_id", "ts")

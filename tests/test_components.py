@@ -75,7 +75,7 @@ def test_methods_agree_with_breadth_first_search(spark, name):
 @pytest.mark.parametrize(
     "options",
     [
-        {"method": "lfpe_no_local"}, {"method": "star_contraction"}, {"method": "label_propagation"}, {"emit": "incremental"}, {"election": "max"},
+        {"method": "lfpe_no_local"}, {"method": "star_contraction"}, {"method": "label_propagation"}, {"method": "graph_library"}, {"emit": "incremental"}, {"election": "max"},
         {"election": "min"}, {"strategy": "window"}, {"strategy": "hub_broadcast", "hub_limit": 3}, {"strategy": "salted", "hub_limit": 3}, {"kernel": "weighted"}, {"max_local_nodes": 7}, {"levels": 2},
         {"tail_rows": 10**6}, {"flatten_method": "min_neighbour"}, {"partitioning": "range", "k": 5}, {"partitioning": "hash", "k": 5}, {"partitioning": "round_robin", "k": 5}, {"method": "lfpe_no_local", "seed": "election"},
         {"method": "star_contraction", "schedule": "inner_fixpoint"}, {"method": "sequential", "weighted": False, "compress": False},
@@ -302,6 +302,8 @@ def test_diameter_hint(spark):
     e = graph(spark, chain + ring)
     got = {r.component: r.least_diameter for r in diameter_hint(e, connected_components(e)).collect()}
     assert got == {0: 7, 100: 3}
+    with pytest.raises(NotConverged):
+        diameter_hint(e, connected_components(e), max_rounds=5)
 
 
 def test_state_folds_its_folders_and_a_restart_repeats_nothing(spark, tmp_path):
