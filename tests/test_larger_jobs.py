@@ -1,7 +1,14 @@
 """Jobs beyond the sizes of the given tables: what once met a limit."""
 
+import random
+
+import duckdb
+import pytest
 from pyspark.sql import functions as F
 
+import __spark_entry__ as entry
+from graphcc.operators import joins
+from graphcc.operators.joins import cosine_join, cosine_links
 from graphcc.plans.components import connected_components
 
 
@@ -11,3 +18,36 @@ def test_sequential_takes_any_number_of_edges(spark):
     for options in ({}, {"weighted": False}, {"compress": False}):
         got = connected_components(e, method="sequential", **options)
         assert {tuple(r) for r in got.groupBy("component").agg(F.count("node")).collect()} == {(-(2**63), 3), (-5, 1000 + 701)}, options
+
+
+VECTORS = "vec_id long, embedding array<float>, label int"
+
+
+def rows_of(df):
+    return sorted(tuple(r) for r in df.collect())
+
+
+@pytest.mark.parametrize("block", [8192, 7])
+def test_similar_pairs_of_awkward_vectors(spark, tmp_path, monkeypatch, block):
+    monkeypatch.setattr(joins, "BLOCK_ROWS", block)
+    r = random.Random(3)
+    rows = [(i, [r.gauss(0, 1) for _ in range(4)], 0) for i in range(40)]
+    rows += [(100 + i, rows[5][1], 0) for i in range(9)] + [(7, rows[6][1], 0), (200, [0.0] * 4, 0), (201, [float("inf"), 0.0, 0.0, 0.0], 0), (202, [1e-40] * 4, 0), (203, [2.0, 0.0, 0.0, 0.0], 0)]
+    rows += [(204, [0.4 * 5, 84**0.5 / 2, 0.0, 0.0], 0), (205, [2.0, 21**0.5, 0.0, 0.0], 0), (206, None, 0)]
+    spark.createDataFrame(rows, VECTORS).write.parquet(f"{tmp_path}/embeddings.parquet")
+    duck = duckdb.connect()
+    duck.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{tmp_path}/embeddings.parquet/*.parquet')")
+    for name in ("op_similarity_join", "cc_lfpe_w14"):
+        got = entry.queries()[name](spark, str(tmp_path))
+        assert rows_of(got) == sorted(duck.sql(f"SELECT {', '.join(got.columns)} FROM ({entry.oracle_sql()[name]})").fetchall()), name
+    plan = entry.queries()["op_similarity_join"](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def test_vectors_in_no_pair_and_links_of_copies(spark):
+    some = [(1, [1.0, 0.0], 0), (2, [1.0, None], 0), (3, [1.0], 0), (4, [], 0), (None, [1.0, 0.0], 0), (5, [2.0, 0.0], 0), (6, [-1.0, 0.0], 0)]
+    df = spark.createDataFrame(some, VECTORS)
+    assert rows_of(cosine_join(df, "vec_id", "embedding", 0.4)) == [(1, 5)]
+    copies = spark.createDataFrame([(i, [1.0, float(i % 2)], 0) for i in range(300)], VECTORS)
+    assert cosine_links(copies, "vec_id", "embedding", 0.4).count() == 299  # of 44850 pairs
+    assert cosine_join(copies, "vec_id", "embedding", 0.4).count() == 300 * 299 // 2
