@@ -51,3 +51,15 @@ def test_vectors_in_no_pair_and_links_of_copies(spark):
     copies = spark.createDataFrame([(i, [1.0, float(i % 2)], 0) for i in range(300)], VECTORS)
     assert cosine_links(copies, "vec_id", "embedding", 0.4).count() == 299  # of 44850 pairs
     assert cosine_join(copies, "vec_id", "embedding", 0.4).count() == 300 * 299 // 2
+
+
+def test_recursive_sql_makes_as_many_rows_as_it_needs(spark):
+    name = "spark.sql.cteRecursionRowLimit"
+    pairs = [(i, i + 1) for i in range(30)] + [(50 - i, 51 - i) for i in range(10)] + [(60, 62), (61, 62), (61, 63), (63, 60), (7, 7)]
+    spark.conf.set(name, "100")
+    try:
+        stars = connected_components(spark.createDataFrame(pairs, "u long, v long"), method="recursive_sql", max_depth=3)
+        assert spark.conf.get(name) == "100"
+    finally:
+        spark.conf.unset(name)
+    assert dict(rows_of(stars)) == {i: 0 for i in range(31)} | {i: 41 for i in range(41, 52)} | {i: 60 for i in range(60, 64)}
