@@ -10,6 +10,7 @@ import __spark_entry__ as entry
 from graphcc.operators import joins
 from graphcc.operators.joins import cosine_join, cosine_links
 from graphcc.plans.components import connected_components
+from graphcc.sources.workloads import copies_apart, shifted
 
 
 def test_sequential_takes_any_number_of_edges(spark):
@@ -63,3 +64,16 @@ def test_recursive_sql_makes_as_many_rows_as_it_needs(spark):
     finally:
         spark.conf.unset(name)
     assert dict(rows_of(stars)) == {i: 0 for i in range(31)} | {i: 41 for i in range(41, 52)} | {i: 60 for i in range(60, 64)}
+
+
+def test_replicated_copies_stay_apart_beyond_the_stride(spark, tmp_path):
+    rows = [(k, p, 50.0) for k, p in [(1, 1), (1, 2), (5_000_001, 3), (10_000_001, 2), (10_000_001, 5_000_001), (7, 9)]]
+    spark.createDataFrame(rows, "l_orderkey long, l_partkey long, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    duck = duckdb.connect()
+    duck.execute(f"CREATE VIEW lineitem AS SELECT * FROM read_parquet('{tmp_path}/lineitem.parquet/*.parquet')")
+    for name in ("cc_lfpe_replicated", "cc_lfpe_replicated_bridge"):
+        got = entry.queries()[name](spark, str(tmp_path))
+        assert rows_of(got) == sorted(duck.sql(f"SELECT {', '.join(got.columns)} FROM ({entry.oracle_sql()[name]})").fetchall()), name
+    negative = spark.createDataFrame([(-7, -6), (-6, 5)], "u long, v long")
+    stars = connected_components(copies_apart(negative, 3))
+    assert rows_of(stars.select(shifted("node", 3, 100), shifted("component", 3, 100))) == sorted((x + 100 * c, -7 + 100 * c) for x in (-7, -6, 5) for c in range(3))
