@@ -77,3 +77,19 @@ def test_replicated_copies_stay_apart_beyond_the_stride(spark, tmp_path):
     negative = spark.createDataFrame([(-7, -6), (-6, 5)], "u long, v long")
     stars = connected_components(copies_apart(negative, 3))
     assert rows_of(stars.select(shifted("node", 3, 100), shifted("component", 3, 100))) == sorted((x + 100 * c, -7 + 100 * c) for x in (-7, -6, 5) for c in range(3))
+
+
+def test_one_local_forest_of_more_nodes_than_the_bound(spark, tmp_path):
+    n = 1_050_000
+    chain = spark.range(n).select(F.explode(F.array(F.col("id"), F.col("id") + 1)).alias("l_orderkey"), F.col("id").alias("l_partkey"), F.lit(50.0).alias("l_quantity"))
+    chain.write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert rows_of(entry.queries()["tree_shape_w2b_k1"](spark, str(tmp_path))) == [(2 * n, 1, 2 * n)]
+
+
+def test_synthetic_chain_over_the_orders(spark, tmp_path):
+    for name, keys in (("some", [5, None, -3, 5, 2**62, 9]), ("one", [4]), ("none", [])):
+        at = f"{tmp_path}/{name}"
+        spark.createDataFrame([(k,) for k in keys], "o_orderkey long").write.parquet(f"{at}/orders.parquet")
+        got = entry.queries()["op_synthetic_source"](spark, at)
+        held = sorted({k for k in keys if k is not None})
+        assert got.columns == ["u", "v"] and rows_of(got) == list(zip(held, held[1:])), name
